@@ -31,22 +31,24 @@ def fold(doc_id: Column, modulus: int) -> Column:
     return F.crc32(F.encode(F.coalesce(doc_id.cast("string"), F.lit("")), "UTF-8")) % modulus
 
 
+def let(value: Column, body) -> Column:
+    """body(value) with value computed once: higher-order functions have no shared subexpressions."""
+    return F.transform(F.array(value), body)[0]
+
+
 def window_hashes(tokens: Column, size: int) -> Column:
     """One 64-bit hash per run of `size` adjacent tokens, in order; empty when there are fewer tokens.
 
     Doubling keeps the work per token constant in `size`: hashes of 2^k tokens come from two of 2^(k-1).
     """
-    def combined(left: Column, right: Column) -> Column:
-        return F.zip_with(left, right, lambda a, b: F.xxhash64(a, b))
-
-    def shifted(arr: Column, by: int) -> Column:
-        return F.slice(arr, F.lit(by + 1), F.greatest(F.size(arr) - by, F.lit(0)))
+    def paired(by: int):
+        # The last `by` entries pair with nothing; they are cut off below.
+        return lambda h: F.zip_with(h, F.slice(h, by + 1, 1 << 30), lambda a, b: F.xxhash64(a, b))
 
     span, hashed = 1, F.transform(tokens, lambda t: F.xxhash64(t))
-    whole = hashed
     while span < size:
         step = min(span, size - span)
-        hashed = combined(hashed, shifted(whole if False else hashed, step))
+        hashed = let(hashed, paired(step))
         span += step
     return F.slice(hashed, F.lit(1), F.greatest(F.size(tokens) - (size - 1), F.lit(0)))
 

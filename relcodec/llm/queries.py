@@ -2,10 +2,18 @@
 
 from __future__ import annotations
 
-from relcodec.llm import packing
+from relcodec.llm import language_id, near_dup, packing, quality_rules, toxicity, warc_revisit
 
 QUERIES = {
+    "op2_mixture_language_id": language_id.op2_mixture_language_id,
+    "op4_segment_toxicity": toxicity.op4_segment_toxicity,
+    "op5_dart_minhash": near_dup.op5_dart_minhash,
+    "op6_quality_rules": quality_rules.op6_quality_rules,
     "op7_cost_balanced_packing": packing.op7_cost_balanced_packing,
+    "op8_revisit_resolution": warc_revisit.op8_revisit_resolution,
 }
 
-ORACLES: dict[str, str] = {}
+ORACLES: dict[str, str] = {
+    "op6_quality_rules": quality_rules.ORACLE,
+    "op8_revisit_resolution": warc_revisit.ORACLE,
+}
