@@ -1,10 +1,65 @@
-"""Corpus pipeline: language, near duplicates, benchmark leaks, personal data, packing."""
+"""Corpus pipeline: language, near duplicates, benchmark leaks, personal data, packing.
+
+Each stage takes (spark, docs, sf_dir) and works on all rows it is given; run() writes a stage's rows as Parquet in the
+shared scratch folder and reads them again for the next one.
+"""
 
 from __future__ import annotations
 
-STAGES: list = []
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from relcodec.llm import common, decontamination, language_id, near_dup, packing, pii
+
+COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
+#: A text is rejected without letters, or if no language explains at least this share of it.
+LEAST_SHARE = 0.3
+
+
+def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Texts with a main language; the models learn from the labelled rows of the given documents."""
+    verdict = language_id.identify(docs, language_id.fit(docs), passthrough=COLUMNS)
+    return verdict.filter((F.col("lang_pred") != language_id.UNDETERMINED) & (F.col("score") >= LEAST_SHARE)).select(*COLUMNS)
+
+
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each class: the one with the smallest id."""
+    keep = near_dup.classes(docs).filter("doc_id = class_id").select("doc_id").distinct()
+    return docs.join(common.materialise(keep), "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*COLUMNS)
+
+
+def benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Documents without occurrences of benchmark items."""
+    hits = decontamination.contaminated(docs.select("doc_id", "text"), common.table(spark, sf_dir, "benchmark")).select("doc_id")
+    return docs.join(common.materialise(hits), "doc_id", "left_anti").select(*COLUMNS)
+
+
+def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Texts with surrogates in place of personal data; n_chars is that of the new text."""
+    return pii.replace(docs.select(*COLUMNS)).withColumn("n_chars", F.length("text").cast("long")).select(*COLUMNS)
+
+
+def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Pieces of documents in sequences of at most 2048 tokens."""
+    import public_tokenizers
+
+    return packing.pack(docs, public_tokenizers.path("byte_bpe_50k.tiktoken"))
+
+
+STAGES = [
+    ("language", language),
+    ("near_duplicates", near_duplicates),
+    ("benchmark_leaks", benchmark_leaks),
+    ("personal_data", personal_data),
+    ("packing", packed),
+]
+
+#: Signatures, mixtures and token ids are beyond SQL; tests compare the stages with brute force.
 ORACLE_SQL = None
 
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = common.documents(spark, sf_dir)
+    for _, stage in STAGES:
+        docs = common.materialise(stage(spark, docs, sf_dir))
+    return docs

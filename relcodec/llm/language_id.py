@@ -22,6 +22,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from relcodec.llm import common
 
@@ -135,8 +136,9 @@ def infer(text: str | None, log_probs: np.ndarray, penalty: float = 8.0) -> list
     return [(chosen[i], float(share[i])) for i in order]
 
 
-def identify(docs: DataFrame, model: tuple[list[str], np.ndarray], penalty: float = 8.0, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, lang_pred, score (share of the main language, times its margin over the next one), mixture."""
+def identify(docs: DataFrame, model: tuple[list[str], np.ndarray], penalty: float = 8.0, id_col: str = "doc_id", text_col: str = "text",
+             passthrough: tuple[str, ...] = ()) -> DataFrame:
+    """doc_id (or the columns named to pass through), lang_pred, score (share of the main language, times its margin over the next one), mixture."""
     langs, log_probs = model
     shared = docs.sparkSession.sparkContext.broadcast(log_probs)
 
@@ -144,16 +146,20 @@ def identify(docs: DataFrame, model: tuple[list[str], np.ndarray], penalty: floa
         probs = shared.value
         for frame in frames:
             rows = [infer(t, probs, penalty) for t in frame["text"]]
-            yield pd.DataFrame({
-                "doc_id": frame["doc_id"],
+            out = pd.DataFrame({
                 "lang_pred": [langs[r[0][0]] if r else UNDETERMINED for r in rows],
                 "score": [min(1.0, max(0.0, r[0][1])) if r else 0.0 for r in rows],
                 "n_langs": [len(r) for r in rows],
                 "mixture": [",".join(f"{langs[i]}:{p:.3f}" for i, p in r) for r in rows],
             })
-
-    return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInPandas(
-        predicted, "doc_id long, lang_pred string, score double, n_langs int, mixture string")
+            yield pd.concat([frame[kept].reset_index(drop=True), out], axis=1)
+
+    kept = list(passthrough) or ["doc_id"]
+    docs = docs.select(*passthrough) if passthrough else docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
+    schema = T.StructType([docs.schema[c] for c in kept])
+    for field, kind in (("lang_pred", "string"), ("score", "double"), ("n_langs", "integer"), ("mixture", "string")):
+        schema = schema.add(field, kind)
+    return docs.mapInPandas(predicted, schema)
 
 
 def op2_mixture_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
