@@ -103,8 +103,12 @@ def score_local(child: np.ndarray, config: np.ndarray, domain: int, score: str =
     if score == "mdl":
         return bits + nll
     # Prequential, add-half: log2 Gamma(n + K/2) / Gamma(K/2) - sum log2 Gamma(c + 1/2) / Gamma(1/2).
-    lg = np.vectorize(math.lgamma)
-    adaptive = ((lg(total + domain / 2) - math.lgamma(domain / 2)).sum() - (lg(n_pair + 0.5) - math.lgamma(0.5)).sum()) / math.log(2)
+    def lg(counts: np.ndarray, more: float) -> float:
+        # Few counts are distinct.
+        some, times = np.unique(counts, return_counts=True)
+        return sum(int(t) * (math.lgamma(c + more) - math.lgamma(more)) for c, t in zip(some.tolist(), times.tolist(), strict=True))
+
+    adaptive = (lg(total, domain / 2) - lg(n_pair, 0.5)) / math.log(2)
     return bits + scale * adaptive
 
 

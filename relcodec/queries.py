@@ -2,13 +2,20 @@
 
 from __future__ import annotations
 
-from collections.abc import Callable
-
 from pyspark.sql import DataFrame, SparkSession
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
-ORACLES: dict[str, str] = {}
+from relcodec import archive as archives
+from relcodec.functions import scalars  # noqa: F401  (registers its queries)
+from relcodec.operators import relational  # noqa: F401
+from relcodec.plans.workloads import ORACLES, QUERIES
+from relcodec.sources.tables import scratch, table
+from relcodec.streaming import streams  # noqa: F401
+
+__all__ = ["ORACLES", "QUERIES", "flagship"]
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return spark.read.parquet(f"{sf_dir}/lineitem.parquet").groupBy("l_returnflag").count()
+    """lineitem through an archive and back."""
+    path = scratch(spark)
+    archives.compress(table(spark, sf_dir, "lineitem"), path)
+    return archives.decompress(spark, path)

@@ -199,7 +199,7 @@ def infer_spec(df: DataFrame, max_categorical: int = MAX_CATEGORICAL, categorica
     A double is decimal if every value is a multiple of 1, 0.1 or 0.01, a timestamp counts days, seconds or
     microseconds. Dictionaries hold at most max_categorical (and never over 2^15) values, so the driver's share is bounded.
     """
-    asked = []
+    asked = [F.count(F.lit(1)).alias("_rows")]
     for f in df.schema.fields:
         c = F.col(quoted(f.name))
         one = [F.count(F.when(c.isNull(), 1)).alias("nulls"), F.approx_count_distinct(c, 0.01).alias("distinct")]
@@ -221,7 +221,8 @@ def infer_spec(df: DataFrame, max_categorical: int = MAX_CATEGORICAL, categorica
     for f in df.schema.fields:
         r = found[f.name]
         base = {"name": f.name, "dtype": f.dataType.simpleString(), "nullable": r["nulls"] > 0}
-        if f.name in categorical or r["distinct"] <= min(max_categorical, LARGEST_CATEGORICAL) * 0.97 and not isinstance(f.dataType, (T.ArrayType, T.MapType, T.StructType)):
+        few = max(64, found["_rows"] / 4)
+        if f.name in categorical or r["distinct"] <= min(max_categorical, LARGEST_CATEGORICAL, few) * 0.97 and not isinstance(f.dataType, (T.ArrayType, T.MapType, T.StructType)):
             small.append(f.name)
             continue
         if isinstance(f.dataType, T.StringType):
