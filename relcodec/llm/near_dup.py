@@ -26,7 +26,6 @@ import hashlib
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
@@ -39,7 +38,8 @@ SHINGLE = 5
 BANDS, ROWS = 20, 5
 THRESHOLD = 0.8
 ROUNDS = 4
-BATCH_WORDS = 400_000
+BATCH_WORDS = 100_000
+PAIRS_AT_ONCE = 256
 
 _M = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x27D4EB2F165667C5, 0x85EBCA77C2B2AE63], np.uint64)
 
@@ -132,33 +132,37 @@ def band_keys(signature: np.ndarray, bands: int, rows: int) -> np.ndarray:
     return key.view(np.int64)
 
 
-def by_words(texts: list[str | None]) -> Iterator[tuple[int, int]]:
-    """Ranges of rows of about BATCH_WORDS words."""
+def by_words(sizes) -> Iterator[tuple[int, int]]:
+    """Ranges of rows of about BATCH_WORDS words, given the rows' sizes in characters."""
     start, size = 0, 0
-    for i, t in enumerate(texts):
-        size += len(t or "") // 6
+    for i, n in enumerate(sizes):
+        size += int(n) // 6 + 1
         if size >= BATCH_WORDS:
             yield start, i + 1
             start, size = i + 1, 0
-    if start < len(texts):
-        yield start, len(texts)
+    if start < len(sizes):
+        yield start, len(sizes)
 
 
 def sketch(docs: DataFrame, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     """doc_id, copy_key (equal for copies), bands (one key per band; empty without words)."""
 
-    def sketched(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
-            texts, ids = frame["text"].tolist(), frame["doc_id"].tolist()
-            for a, b in by_words(texts):
-                hashes, bounds = word_hashes(texts[a:b])
-                keys = [hashlib.md5(hashes[bounds[i]:bounds[i + 1]].tobytes() if t is not None else f"null {d}".encode()).digest() for i, (t, d) in enumerate(zip(texts[a:b], ids[a:b], strict=True))]
+    schema = pa.schema([("doc_id", pa.int64()), ("copy_key", pa.binary()), ("bands", pa.list_(pa.int64()))])
+
+    def sketched(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sizes = pc.fill_null(pc.binary_length(batch.column(1)), 0).to_numpy(zero_copy_only=False)
+            # Slices of a bounded number of words become Python objects, not whole batches.
+            for a, b in by_words(sizes):
+                ids, texts = batch.column(0).slice(a, b - a).to_pylist(), batch.column(1).slice(a, b - a).to_pylist()
+                hashes, bounds = word_hashes(texts)
+                keys = [hashlib.md5(hashes[bounds[i]:bounds[i + 1]].tobytes() if t is not None else f"null {d}".encode()).digest() for i, (t, d) in enumerate(zip(texts, ids, strict=True))]
                 region, limits = regions(hashes, bounds)
                 band = band_keys(signatures(region, limits, bands * rows), bands, rows)
                 some = np.diff(limits) > 0
-                yield pd.DataFrame({"doc_id": ids[a:b], "copy_key": keys, "bands": [x if s else x[:0] for x, s in zip(band, some, strict=True)]})
+                yield pa.RecordBatch.from_pydict({"doc_id": ids, "copy_key": keys, "bands": [x if s else x[:0] for x, s in zip(band, some, strict=True)]}, schema=schema)
 
-    return docs.select("doc_id", "text").mapInPandas(sketched, "doc_id long, copy_key binary, bands array<long>")
+    return docs.select("doc_id", "text").mapInArrow(sketched, "doc_id long, copy_key binary, bands array<long>")
 
 
 def similarities(pairs: DataFrame, texts: DataFrame) -> DataFrame:
@@ -166,25 +170,29 @@ def similarities(pairs: DataFrame, texts: DataFrame) -> DataFrame:
     left = texts.select(F.col("doc_id").alias("a"), F.col("text").alias("a_text"))
     right = texts.select(F.col("doc_id").alias("b"), F.col("text").alias("b_text"))
 
-    def compared(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
-            a_ids, b_ids = frame["a"].to_numpy(), frame["b"].to_numpy()
-            known = dict(zip(a_ids.tolist(), frame["a_text"], strict=True)) | dict(zip(b_ids.tolist(), frame["b_text"], strict=True))
-            names, bodies = list(known), list(known.values())
-            unit: dict[int, np.ndarray] = {}
-            for s, e in by_words(bodies):
-                region, limits = regions(*word_hashes(bodies[s:e]))
-                for i in range(e - s):
-                    unit[names[s + i]] = np.sort(region[limits[i]:limits[i + 1]])
-            sims = np.zeros(len(frame))
-            for i, (a, b) in enumerate(zip(a_ids.tolist(), b_ids.tolist(), strict=True)):
-                x, y = unit[a], unit[b]
-                x, y = (x, y) if len(x) <= len(y) else (y, x)
-                both = int((y[np.minimum(np.searchsorted(y, x), len(y) - 1)] == x).sum()) if len(x) else 0
-                sims[i] = both / (len(x) + len(y) - both) if len(x) + len(y) else 1.0
-            yield pd.DataFrame({"a": a_ids, "b": b_ids, "similarity": sims})
-
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "a_text", "b_text").mapInPandas(compared, "a long, b long, similarity double")
+    schema = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("similarity", pa.float64())])
+
+    def compared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for at in range(0, whole.num_rows, PAIRS_AT_ONCE):
+                batch = whole.slice(at, PAIRS_AT_ONCE)
+                a_ids, b_ids = batch.column(0).to_pylist(), batch.column(1).to_pylist()
+                known = dict(zip(a_ids, batch.column(2).to_pylist(), strict=True)) | dict(zip(b_ids, batch.column(3).to_pylist(), strict=True))
+                names, bodies = list(known), list(known.values())
+                unit: dict[int, np.ndarray] = {}
+                for s, e in by_words([len(t or "") for t in bodies]):
+                    region, limits = regions(*word_hashes(bodies[s:e]))
+                    for i in range(e - s):
+                        unit[names[s + i]] = np.sort(region[limits[i]:limits[i + 1]])
+                sims = []
+                for a, b in zip(a_ids, b_ids, strict=True):
+                    x, y = unit[a], unit[b]
+                    x, y = (x, y) if len(x) <= len(y) else (y, x)
+                    both = int((y[np.minimum(np.searchsorted(y, x), len(y) - 1)] == x).sum()) if len(x) else 0
+                    sims.append(both / (len(x) + len(y) - both) if len(x) + len(y) else 1.0)
+                yield pa.RecordBatch.from_pydict({"a": a_ids, "b": b_ids, "similarity": sims}, schema=schema)
+
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "a_text", "b_text").mapInArrow(compared, "a long, b long, similarity double")
 
 
 def components(edges: DataFrame) -> DataFrame:
