@@ -41,8 +41,8 @@ from relcodec.llm import common
 from relcodec.llm.elias_fano import KEY_BITS, Trie, restore
 
 KAPPA = 30.0
-BLOCK_TOKENS = 1_500_000
-SHARD_TOKENS = 2_500_000
+BLOCK_TOKENS = 500_000
+SHARD_TOKENS = 1_000_000
 HELD_OUT_MODULUS, HELD_OUT_REMAINDER = 7, 2
 #: Hashes of the two marks that no word can have: context before the first word, and end of the text.
 BEGIN, END = np.uint64(0x5D4E1A2B3C4D5E6F), np.uint64(0x1F2E3D4C5B6A7988)
@@ -97,11 +97,13 @@ def blocks_of(docs: DataFrame, block_tokens: int = BLOCK_TOKENS) -> DataFrame:
             return out
 
         for batch in batches:
-            for i, t, h in zip(*(c.to_pylist() for c in batch.columns), strict=True):
-                ids.append(i), texts.append(t or ""), held.append(h)
-                chars += len(t or "") + 1
-                if chars >= block_tokens * 6:
-                    yield flush()
+            for at in range(0, batch.num_rows, 500):
+                # A few rows at a time become Python objects.
+                for i, t, h in zip(*(c.to_pylist() for c in batch.slice(at, 500).columns), strict=True):
+                    ids.append(i), texts.append(t or ""), held.append(h)
+                    chars += len(t or "") + 1
+                    if chars >= block_tokens * 6:
+                        yield flush()
         if texts:
             yield flush()
 
@@ -157,18 +159,20 @@ class Block:
 
 
 def requests(blocks: DataFrame, shards: int) -> DataFrame:
-    def asked(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for frame in frames:
-            for block_id, body in zip(frame["block_id"], frame["body"], strict=True):
-                b = Block(body, shards)
+    def asked(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for at in range(batch.num_rows):
+                block_id = batch.column(0)[at].as_py()
+                b = Block(batch.column(1)[at].as_py(), shards)
                 rows = []
                 for shard, w, p in b.slices():
                     fan = np.bincount(b.pair_context[p] - w.start, minlength=w.stop - w.start)
                     short = b.pair_short[p].view(np.uint8).reshape(-1, 8)[:, : KEY_BITS // 8]
                     rows.append((shard, block_id, pickle.dumps((b.word_hash[w].tobytes(), packed(b.word_count[w]), packed(fan), np.ascontiguousarray(short).tobytes(), packed(b.pair_count[p])))))
-                yield pd.DataFrame(rows, columns=["shard", "block_id", "ask"])
+                columns = zip(*rows, strict=True)
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int32(), pa.int64(), pa.binary()), strict=True)], names=["shard", "block_id", "ask"])
 
-    return blocks.select("block_id", "body").mapInPandas(asked, "shard int, block_id long, ask binary")
+    return blocks.select("block_id", "body").mapInArrow(asked, "shard int, block_id long, ask binary")
 
 
 def answered(frame: pd.DataFrame, kappa: float) -> pd.DataFrame:
