@@ -62,8 +62,10 @@ def sample_first(images: DataFrame, key: str, n: int = SAMPLE_ROWS) -> DataFrame
 
 
 def sample_random(images: DataFrame, n: int = SAMPLE_ROWS, seed: int = 0) -> DataFrame:
-    """n rows with the smallest hashes of (seed, row): bounded, and alike for any layout of the files."""
-    return images.withColumn("_h", F.xxhash64(F.lit(seed), *[F.col(quoted(c)) for c in images.columns])).orderBy("_h").limit(n).drop("_h")
+    """n rows drawn evenly: the smallest of seeded random numbers, one a row, so equal rows are drawn as often as they occur.
+
+    Each task keeps its own n smallest, so no more than that leaves it."""
+    return images.withColumn("_h", F.rand(seed)).orderBy("_h").limit(n).drop("_h")
 
 
 def symbols_of_sample(rows: list, spec: TableSpec) -> tuple[dict[str, np.ndarray], dict[str, int]]:

@@ -64,8 +64,6 @@ class ArchiveReader(DataSourceReader):
         return out or [BlockPartition(None)]
 
     def read(self, partition):
-        import json
-
         import pyarrow.parquet as pq
 
         from relcodec.network import Network
@@ -75,12 +73,13 @@ class ArchiveReader(DataSourceReader):
         net = Network.from_json(self.options["network"])
         row = pq.read_table(f"{self.options['path']}/blocks", filters=[("block_id", "=", partition.block)]).to_pylist()[0]
         columns = archives.unpack(net, row["payload"], row["offsets"], row["nrows"], row["nbits"], row["delta"])
-        del json
         yield archives.to_arrow(columns, net.spec, net.spec.names)
 
 
 def read(spark: SparkSession, path: str):
     """Rows of an archive through the data source (images come from it, values are restored by expressions)."""
+    # Spark offers filters to Python sources only on request; this is a setting of the session, not of its start.
+    spark.conf.set("spark.sql.python.filterPushdown.enabled", "true")
     spark.dataSource.register(ArchiveSource)
     archive = archives.open_archive(spark, path)
     spec = archive.network.spec
