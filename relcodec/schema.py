@@ -202,7 +202,7 @@ def infer_spec(df: DataFrame, max_categorical: int = MAX_CATEGORICAL, categorica
     asked = [F.count(F.lit(1)).alias("_rows")]
     for f in df.schema.fields:
         c = F.col(quoted(f.name))
-        one = [F.count(F.when(c.isNull(), 1)).alias("nulls"), F.approx_count_distinct(c, 0.01).alias("distinct")]
+        one = [F.count(F.when(c.isNull(), 1)).alias("nulls"), F.approx_count_distinct(c).alias("distinct")]
         if isinstance(f.dataType, (T.DoubleType, T.FloatType)):
             d = c.cast("double")
             one += [F.min(d).alias("lo"), F.max(d).alias("hi")]
@@ -222,7 +222,7 @@ def infer_spec(df: DataFrame, max_categorical: int = MAX_CATEGORICAL, categorica
         r = found[f.name]
         base = {"name": f.name, "dtype": f.dataType.simpleString(), "nullable": r["nulls"] > 0}
         few = max(64, found["_rows"] / 4)
-        if f.name in categorical or r["distinct"] <= min(max_categorical, LARGEST_CATEGORICAL, few) * 0.97 and not isinstance(f.dataType, (T.ArrayType, T.MapType, T.StructType)):
+        if f.name in categorical or r["distinct"] <= min(max_categorical, LARGEST_CATEGORICAL, few) * 0.95 and not isinstance(f.dataType, (T.ArrayType, T.MapType, T.StructType)):
             small.append(f.name)
             continue
         if isinstance(f.dataType, T.StringType):
