@@ -1,7 +1,8 @@
 """Benchmark decontamination by template windows.
 
-Texts and benchmark items are canonicalised alike: numbers, capitalised names inside a sentence and units after a
-number become typed placeholders, one token each, everything else lower-case words. Windows of `WINDOW` adjacent
+Texts and benchmark items are canonicalised alike: numbers (with decimals and separators), names (runs of capitalised
+words, at sentence starts unless the word is a common one) and units after a number become typed placeholders, one
+token each, everything else lower-case words. Windows of `WINDOW` adjacent
 tokens are hashed and joined, so a question asked again with other numbers or names still meets its template. Matches
 of one text and item are gathered by their offset (one offset is one occurrence). An occurrence counts if it covers
 enough of the item's windows and its slots are consistent: within it, one value of the item always became the same
@@ -28,25 +29,51 @@ MAX_BROADCAST = 1_000_000
 NAME, NUMBER, UNIT = "zznamezz", "zznumzz", "zzunitzz"
 #: Units after a number.
 UNITS = "km|kg|cm|mm|m|g|l|ml|h|min|s|percent|miles|mile|hours|hour|minutes|days|years|dollars|dollar|euros|euro|cents"
+#: Patterns of the SQL, which knows neither names at sentence starts nor runs of names nor decimals.
 _NAMES = r"([\p{Ll},;] )\p{Lu}\p{Ll}+"
 _OTHER = r"[^\p{L}\p{N}]+"
-
-
-def raw_tokens(text: Column) -> Column:
-    return F.split(F.trim(F.regexp_replace(F.lower(F.coalesce(text, F.lit(""))), _OTHER, " ")), " ")
-
-
-def template_tokens(text: Column) -> Column:
+#: Words that are no names where a sentence starts (elsewhere every capitalised word is one).
+COMMON = ("a|about|after|all|also|although|an|and|another|any|are|as|at|because|before|both|but|by|calculate|can|compute|consider|could|did|do|does|during|each|either|estimate|every|explain|find|first|for|from|"
+          "given|had|has|have|he|her|here|his|how|however|if|in|into|is|it|its|last|later|let|many|may|more|most|my|next|no|not|now|of|on|once|one|or|our|out|over|question|she|should|show|since|so|solve|some|"
+          "suppose|than|that|the|their|then|there|these|they|this|those|through|to|today|tomorrow|two|under|until|up|was|we|were|what|when|where|which|while|who|whose|why|will|with|would|yesterday|yet|you|your|"
+          "aber|als|am|auf|aus|bei|beim|das|dem|den|der|des|die|dies|diese|dieser|doch|durch|ein|eine|einem|einen|einer|er|es|für|hat|ich|ihr|ihre|im|ist|mit|nach|nicht|noch|nun|nur|oder|sein|seine|seit|sich|sie|sind|"
+          "so|um|und|unter|von|vor|wann|war|warum|was|welche|wenn|wer|wie|wieviel|wir|wird|wo|zu|zum|zur|"
+          "au|aux|avec|ce|ces|cette|chaque|combien|comment|dans|de|du|elle|elles|en|est|et|il|ils|je|la|le|les|leur|lorsque|mais|ne|nous|on|ou|où|par|pas|pour|pourquoi|puis|quand|que|quel|quelle|qui|sa|ses|si|son|"
+          "sont|sur|un|une|vous|al|como|con|cuando|cuál|cuántas|cuántos|del|donde|dónde|el|ella|ellas|ellos|entonces|era|es|esta|este|está|las|los|más|muy|no|nos|para|pero|por|porque|pues|qué|se|sin|su|sus|también|una|y")
+#: Marks inside canonical text: around every word of a name, and within a token in place of what would part it.
+_EDGE, _WITHIN = "\x01", "\x02"
+_STARTERS = "|".join(sorted({w[0].upper() + w[1:] for w in COMMON.split("|") if len(w) > 1}))
+_NAME_WORD = (r"(?=\p{Lu})(?<![\p{L}\p{N}])(?:(?<=[\p{Ll},;] )|(?!(?:" + _STARTERS + r")(?![\p{L}\p{N}])))"
+              r"(?:(?:\p{Lu}\p{Ll}+)+(?![\p{L}\p{N}])|\p{Lu}(?=['\u2019]\p{Lu}\p{Ll}))")
+_PARTS = r"[^\p{L}\p{N}\x02]+"
+
+
+def canonical(text: Column) -> Column:
+    """Text whose numbers are one token each, decimals and separators included (thousands lose their commas, so 1,200
+    is 1200), and whose names are marked: a run of capitalised words, hyphens and apostrophes between them, is one."""
+    plain = F.translate(F.coalesce(text, F.lit("")), _EDGE + _WITHIN, "  ")
+    numbers = F.regexp_replace(F.regexp_replace(plain, r"(?<=\p{N}),(?=\p{N}{3}(?!\p{N}))", ""), r"(?<=\p{N})[.,](?=\p{N})", _WITHIN)
+    marked = F.regexp_replace(numbers, _NAME_WORD, f"{_EDGE}$0{_EDGE}")
+    return F.regexp_replace(marked, f"{_EDGE}[ '\u2019-]{_EDGE}", _WITHIN)
+
+
+def raw_tokens(canon: Column) -> Column:
+    return F.split(F.trim(F.regexp_replace(F.lower(F.translate(canon, _EDGE, "")), _PARTS, " ")), " ")
+
+
+def template_tokens(canon: Column) -> Column:
     """As many tokens as raw_tokens, with placeholders for what a question may vary."""
-    named = F.regexp_replace(F.coalesce(text, F.lit("")), _NAMES, f"$1{NAME}")
-    words = F.trim(F.regexp_replace(F.lower(named), _OTHER, " "))
-    counted = F.regexp_replace(words, r"\p{N}+", NUMBER)
+    named = F.regexp_replace(canon, f"{_EDGE}[^{_EDGE}]+{_EDGE}", NAME)
+    words = F.trim(F.regexp_replace(F.lower(named), _PARTS, " "))
+    counted = F.regexp_replace(words, r"\p{N}[\p{N}\x02]*", NUMBER)
     return F.split(F.trim(F.regexp_replace(F.concat(counted, F.lit(" ")), f"{NUMBER} ({UNITS}) ", f"{NUMBER} {UNIT} ")), " ")
 
 
 def windows(table: DataFrame, keys: list[str], text: str) -> DataFrame:
     """keys, at, h, raw (all raw tokens), template: a row per window."""
-    cut = table.select(*keys, raw_tokens(F.col(text)).alias("raw"), template_tokens(F.col(text)).alias("template"))
+    cut = common.let(canonical(F.col(text)), lambda c: F.struct(raw_tokens(c).alias("raw"), template_tokens(c).alias("template")))
+    # Exploded, so that no later projection computes it again.
+    cut = table.select(*keys, F.explode(F.array(cut)).alias("cut")).select(*keys, "cut.*")
     return cut.select(*keys, "raw", "template", F.posexplode(common.window_hashes(F.col("template"), WINDOW)).alias("at", "h"))
 
 
@@ -64,7 +91,12 @@ def occurrences(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     found = hits.groupBy("doc_id", "item_id", "shift").agg(F.count_distinct("item_at").alias("windows"), F.max("item_windows").alias("item_windows"))
     found = found.filter(F.col("windows") >= F.least(F.lit(ENOUGH), F.ceil(F.col("item_windows") / 2)))
     slots = hits.filter(F.size("slots") > 0).select("doc_id", "item_id", "shift", F.explode("slots").alias("s")).groupBy("doc_id", "item_id", "shift", F.col("s.i").alias("i"))
-    broken = slots.agg(F.min("s.d").alias("low"), F.max("s.d").alias("high")).filter("low <> high").select("doc_id", "item_id", "shift").distinct()
+    # At most as many values as the item has slots. A name may stand whole or in part: Mary Jones, then Mary.
+    shortest = F.array_min(F.transform("values", lambda v: F.struct(F.length(v).alias("n"), v.alias("v"))))["v"]
+    around = lambda v: F.concat(F.lit(_WITHIN), v, F.lit(_WITHIN))
+    parted = slots.agg(F.collect_set(F.struct("s.t", "s.d")).alias("found")).withColumn("values", F.array_distinct(F.transform("found", lambda v: v["d"]))).filter("size(values) > 1")
+    alike = F.forall("found", lambda v: v["t"] == NAME) & F.forall("values", lambda v: F.contains(around(v), around(shortest)))
+    broken = parted.filter(~alike).select("doc_id", "item_id", "shift").distinct()
     return found.join(broken, ["doc_id", "item_id", "shift"], "left_anti").select("doc_id", "item_id", "shift", "windows")
 
 

@@ -171,6 +171,16 @@ def test_decontamination(docs, empty, spark):
     assert decontamination.contaminated(table, bench.limit(0)).count() == 0
 
 
+def test_decontamination_of_names_and_decimals(spark):
+    item = "Tom has 5 apples and 1,200 pears. He gave Mary 3 of them, then Tom ate 2 and sold the rest at noon"
+    new = "Peter Paul Smith-Jones has 3.5 apples and 950 pears. He gave Ann O'Brien 12,500.75 of them, then Peter ate 2.25 and sold the rest at noon"
+    bench = spark.createDataFrame([(1, item)], "item_id long, text string")
+    rows = [(1, new), (2, "Words before.\n" + new + ". More"), (3, new.replace("then Peter", "then Bruno")), (4, "The " + item), (5, item.replace("apples", "plums").replace("them", "those"))]
+    got = {r["doc_id"]: r["windows"] for r in decontamination.contaminated(spark.createDataFrame(rows, "doc_id long, text string"), bench).collect()}
+    # All windows of the whole question; 3 gives Tom two unrelated values.
+    assert {k for k, n in got.items() if n == 16} == {1, 2, 4} and 3 not in got
+
+
 def test_surrogates(docs, empty, spark):
     rows = [(1, "Mail Ann.Lee@mail1.example.com or ann.lee@mail1.example.com, call +1 (555) 123-4567."), (2, "card 4539578763621486, again 4539-5787-6362-1486 and 10.1.2.3"), (3, 'token = "24be64439e3e49cf46b2d7c90f3602a3"'),
             (4, None), (5, ""), (6, "nothing here 42 1999"), (7, "Mrs Jane Doe met Mr. Doe. ann.lee@mail1.example.com")]
