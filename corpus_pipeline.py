@@ -22,16 +22,28 @@ def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return verdict.filter((F.col("lang_pred") != language_id.UNDETERMINED) & (F.col("score") >= LEAST_SHARE)).select(*COLUMNS)
 
 
+def keyed(docs: DataFrame) -> DataFrame:
+    """docs with a row key `_key`: the id where it tells texts apart, else (null, or shared by unlike texts) a hash of id
+    and text above all usual ids. Rows equal in both are one document."""
+    text = F.xxhash64("text")
+    shared = docs.filter("doc_id is not null").groupBy("doc_id").agg(F.min(text).alias("low"), F.max(text).alias("high")).filter("low <> high").select("doc_id", F.lit(True).alias("_shared"))
+    own = F.xxhash64("doc_id", "text").bitwiseAND(F.lit((1 << 62) - 1)).bitwiseOR(F.lit(1 << 62))
+    by_id = F.col("doc_id").isNotNull() & F.col("_shared").isNull()
+    return docs.join(common.materialise(shared), "doc_id", "left").withColumn("_key", F.when(by_id, F.col("doc_id").cast("long")).otherwise(own)).drop("_shared")
+
+
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each class: the one with the smallest id."""
-    keep = near_dup.classes(docs).filter("doc_id = class_id").select("doc_id").distinct()
-    return docs.join(common.materialise(keep), "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*COLUMNS)
+    """One document of each class, whatever its id: the one with the smallest, null and shared ids last."""
+    docs = keyed(docs)
+    keep = near_dup.classes(docs, id_col="_key").filter("doc_id = class_id").select(F.col("doc_id").alias("_key")).distinct()
+    return docs.join(common.materialise(keep), "_key", "left_semi").dropDuplicates(["_key"]).select(*COLUMNS)
 
 
 def benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents without occurrences of benchmark items."""
-    hits = decontamination.contaminated(docs.select("doc_id", "text"), common.table(spark, sf_dir, "benchmark")).select("doc_id")
-    return docs.join(common.materialise(hits), "doc_id", "left_anti").select(*COLUMNS)
+    """Documents without occurrences of benchmark items, whatever their ids."""
+    docs = keyed(docs)
+    hits = decontamination.contaminated(docs.select(F.col("_key").alias("doc_id"), "text"), common.table(spark, sf_dir, "benchmark")).select(F.col("doc_id").alias("_key"))
+    return docs.join(common.materialise(hits), "_key", "left_anti").select(*COLUMNS)
 
 
 def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

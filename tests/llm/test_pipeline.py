@@ -17,3 +17,15 @@ def test_stages(spark, tmp_path):
         if name != "packing":
             assert tuple(docs.columns) == corpus_pipeline.COLUMNS
     assert {9001, 9004} <= seen[0] - seen[1] and 9002 in seen[1] - seen[2] and 9003 in seen[2] - seen[3] and seen[3] == seen[4] == seen[5]
+
+
+def test_null_and_shared_ids(spark):
+    sf = "/root/testdata/sf0.001"
+    bench = common.table(spark, sf, "benchmark").first()["text"]
+    texts = [" ".join(f"w{(i * 37 + k * k) % 997}" for k in range(90)) for i in range(4)]
+    rows = [(None, texts[0]), (None, texts[1]), (None, texts[1]), (5, texts[1]), (7, texts[2]), (7, texts[3]), (None, "Lead in words here. " + bench + " And out.")]
+    docs = spark.createDataFrame([(i, t, "en", "x", len(t)) for i, t in rows], common.documents(spark, sf).schema)
+    left = common.materialise(corpus_pipeline.near_duplicates(spark, docs, sf))
+    assert sorted(map(str, ((r["doc_id"], r["text"]) for r in left.collect()))) == sorted(map(str, [rows[0], *rows[3:]]))
+    clean = corpus_pipeline.benchmark_leaks(spark, left, sf)
+    assert sorted(map(str, ((r["doc_id"], r["text"]) for r in clean.collect()))) == sorted(map(str, [rows[0], *rows[3:6]]))
