@@ -8,6 +8,7 @@ own with `register_codec`.
 from __future__ import annotations
 
 import json
+from collections import Counter
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
@@ -101,18 +102,18 @@ class Url(Codec):
 
 
 class FloatVector(Codec):
-    """An array of numbers of one length: a column per coordinate."""
+    """An array of numbers of one length (the most frequent of the sample): a column per coordinate."""
 
     @classmethod
     def detect(cls, values):
-        sizes = {len(v) for v in values}
-        return {"dim": sizes.pop()} if len(sizes) == 1 and 0 not in sizes else None
+        sizes = Counter(len(v) for v in values)
+        return {"dim": sizes.most_common(1)[0][0] if sizes else 0}
 
     def split(self, c):
         return {f"e{i}": F.get(c, i).cast("double") for i in range(self.params["dim"])}
 
     def join(self, parts):
-        return F.array(*[parts[f"e{i}"].cast("float") for i in range(self.params["dim"])])
+        return F.array(*[parts[f"e{i}"].cast(self.params.get("type", "float")) for i in range(self.params["dim"])])
 
 
 for _name, _codec in (("template", TemplateId), ("json", JsonFlat), ("url", Url), ("vector", FloatVector)):
@@ -137,7 +138,12 @@ class Expansion:
         for f in df.schema.fields:
             chosen, params = (codecs or {}).get(f.name), {}
             values = [r[f.name] for r in rows if r[f.name] is not None]
-            if isinstance(f.dataType, (T.StringType, T.ArrayType)) and len(set(map(str, values))) > len(values) // 4:
+            element = f.dataType.elementType if isinstance(f.dataType, T.ArrayType) else None
+            if chosen in (None, "vector") and isinstance(element, (T.NumericType, T.StringType)):
+                # Texts have no coordinates: all of them travel whole.
+                found = REGISTRY["vector"].detect(values) if isinstance(element, T.NumericType) else {"dim": 0}
+                chosen, params = "vector", found | {"type": "float" if isinstance(element, T.FloatType) else "double", "raw": True}
+            elif isinstance(f.dataType, (T.StringType, T.ArrayType)) and len(set(map(str, values))) > len(values) // 4:
                 for name in [chosen] if chosen else REGISTRY:
                     if (name == "vector") == isinstance(f.dataType, T.ArrayType):
                         found = REGISTRY[name].detect(values)
@@ -148,25 +154,39 @@ class Expansion:
         return cls(out)
 
     def expand(self, df: DataFrame) -> DataFrame:
-        out = []
-        for name, dtype, codec, params in self.columns:
+        fit, out = [], []
+        for i, (name, dtype, codec, params) in enumerate(self.columns):
             c = F.col(quoted(name))
             if codec is None:
                 out.append(c)
                 continue
             own = REGISTRY[codec](**params)
             parts = own.split(c)
-            fits = F.coalesce(own.join(parts) == c, F.lit(False))
+            whole = own.join(parts) if dtype == "string" else own.join(parts).try_cast(dtype)
+            same = whole == c
+            if dtype in ("array<float>", "array<double>"):
+                # Images of numbers have no sign of zero.
+                same = same & ~F.exists(c, lambda x: (x == 0) & x.cast("string").startswith("-"))
+            fits = F.col(f"_fits_{i}")
+            fit.append(F.coalesce(same, F.lit(False)).alias(f"_fits_{i}"))
             out += [F.when(fits, v).alias(f"{name}__{k}") for k, v in parts.items()]
             if dtype == "string":
                 out.append(F.when(~fits, c).alias(f"{name}__raw"))
-        return df.select(*out)
+            elif params.get("raw"):
+                # JSON; a null array is the text null, so that it is not taken for one that fits.
+                out.append(F.when(~fits, F.coalesce(F.to_json(c), F.lit("null"))).alias(f"{name}__raw"))
+        return df.select("*", *fit).select(*out)
+
+    @staticmethod
+    def parts(name: str, dtype: str, codec: str, params: dict) -> list[str]:
+        own = REGISTRY[codec](**params).split(F.lit(None).cast("string") if dtype == "string" else F.col("x"))
+        return [*own, *(["raw"] if dtype == "string" or params.get("raw") else [])]
 
     def needed(self, columns: list[str]) -> list[str]:
         out = []
         for name, dtype, codec, params in self.columns:
             if name in columns:
-                out += [name] if codec is None else [f"{name}__{k}" for k in [*REGISTRY[codec](**params).split(F.lit(None).cast("string") if dtype == "string" else F.col("x")), *(["raw"] if dtype == "string" else [])]]
+                out += [name] if codec is None else [f"{name}__{k}" for k in self.parts(name, dtype, codec, params)]
         return out
 
     def collapse(self, wide: DataFrame, columns: list[str] | None) -> DataFrame:
@@ -177,11 +197,12 @@ class Expansion:
             if codec is None:
                 out.append(F.col(quoted(name)))
                 continue
-            own = REGISTRY[codec](**params)
-            names = list(own.split(F.lit(None).cast("string") if dtype == "string" else F.col("x")))
-            whole = own.join({k: F.col(quoted(f"{name}__{k}")) for k in names})
+            raw = F.col(quoted(f"{name}__raw"))
+            whole = REGISTRY[codec](**params).join({k: F.col(quoted(f"{name}__{k}")) for k in self.parts(name, dtype, codec, params) if k != "raw"})
             if dtype == "string":
-                whole = F.coalesce(F.col(quoted(f"{name}__raw")), whole)
+                whole = F.coalesce(raw, whole)
+            elif params.get("raw"):
+                whole = F.when(raw.isNull(), whole.try_cast(dtype)).otherwise(F.from_json(raw, dtype))
             out.append(whole.cast(dtype).alias(name))
         return wide.select(*out)
 
