@@ -7,17 +7,22 @@ belongs to one of k coordinates, and the earliest dart of a coordinate is its si
 coordinate with probability equal to their weighted Jaccard similarity.
 
 Signatures are cut into bands; equal bands meet in a bucket. Pairs are never enumerated within a bucket: each round
-compares a bucket's members with one pivot, links those with similarity of at least `threshold`, and drops a bucket
-once its members share a class. Jaccard distance is a metric, so a linked member can be left out of later rounds
-unless some unlinked one is within 2 (1 - threshold) of the pivot. What is left after `rounds` rounds is compared in
-full between different classes, so no candidate link between different texts is lost. Components are found by
+compares a bucket's members with one pivot (the member whose other buckets are largest, so the middle of a group and
+the same one in all its buckets), links those with similarity of at least `threshold`, and drops a bucket once its
+members share a class. Jaccard distance is a metric, so a linked member can be left out of later rounds unless some
+unlinked one is within 2 (1 - threshold) of the pivot. The texts of the buckets left after `rounds` rounds meet by an
+exact similarity join between different classes (`links_between`): regions that only one class has can be in no overlap,
+and a text enters only by the few rarest of its other regions that an overlap large enough must touch. So no candidate
+link between different texts is lost, and texts that nothing can reach cost no comparison. Components are found by
 contraction on tables, never on the driver.
 
 Copies (equal words but for case) are one node from the start, so groups of copies cost one row per copy.
 
 Defined cases: a null text is alone in its class (rows repeated under one id share it); texts without words are
-copies of each other; a text of fewer than five words is one shingle; an empty table gives an empty result; further
-columns are ignored.
+copies of each other; a text of fewer than five words is one shingle; very long texts are read whole, a bounded number
+of words at a time; texts with equally good pivots go by the smallest id; an empty table gives an empty result; further
+columns are ignored, whatever their names; an id repeated with different texts counts as one row of each text, and its
+candidates are checked with one of them (the pipeline gives such rows keys of their own first).
 """
 
 from __future__ import annotations
@@ -30,6 +35,7 @@ import pyarrow as pa
 import pyarrow.compute as pc
 import xxhash
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from relcodec.llm import common
@@ -37,7 +43,9 @@ from relcodec.llm import common
 SHINGLE = 5
 BANDS, ROWS = 20, 5
 THRESHOLD = 0.8
-ROUNDS = 4
+ROUNDS = 2
+#: A region that more texts than this enter by is joined in that many blocks.
+BLOCK = 1000
 BATCH_WORDS = 100_000
 PAIRS_AT_ONCE = 256
 
@@ -219,6 +227,53 @@ def components(edges: DataFrame) -> DataFrame:
     return common.materialise(labels)
 
 
+def unit_regions(texts: DataFrame) -> DataFrame:
+    """doc_id, units (ids of its regions) of texts."""
+    schema = pa.schema([("doc_id", pa.int64()), ("units", pa.list_(pa.int64()))])
+
+    def cut(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sizes = pc.fill_null(pc.binary_length(batch.column(1)), 0).to_numpy(zero_copy_only=False)
+            for a, b in by_words(sizes):
+                region, limits = regions(*word_hashes(batch.column(1).slice(a, b - a).to_pylist()))
+                units = pa.ListArray.from_arrays(pa.array(limits, pa.int32()), pa.array(region.view(np.int64)))
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(a, b - a), units], schema=schema)
+
+    return texts.select("doc_id", "text").mapInArrow(cut, "doc_id long, units array<long>")
+
+
+def links_between(texts: DataFrame, label: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
+    """a, b: every pair of texts of different labels (doc_id, label) that may reach the threshold.
+
+    An overlap of texts with different labels holds only regions that several labels have. In one order of all regions
+    (the others first, then from rare to frequent), two texts whose overlap is at least `need` share a region among
+    the first n - need + 1 of each, and behind the first one that they share enough must be left in both.
+    """
+    share = threshold / (1 + threshold)
+    texts = texts.join(label, "doc_id")
+    units = unit_regions(texts).join(label, "doc_id").select("doc_id", "label", F.size("units").alias("n"), F.explode("units").alias("unit"))
+    units = common.materialise(units)
+    shared = units.groupBy("unit").agg(F.count(F.lit(1)).alias("df"), F.min("label").alias("low"), F.max("label").alias("high")).filter("low <> high").select("unit", "df")
+    own = W.partitionBy("doc_id")
+    left = F.col("n") - (F.col("n") - F.count(F.lit(1)).over(own) + F.row_number().over(own.orderBy("df", "unit")) - 1)
+    entry = units.join(shared, "unit").withColumn("left", left).filter(F.col("left") >= threshold * F.col("n") - 1e-6).select("doc_id", "label", "n", "unit", "left")
+    entry = common.materialise(entry)
+    met = entry.groupBy("unit").agg(F.min("n").alias("least"), F.min("label").alias("low"), F.max("label").alias("high"))
+    entry = entry.join(met.filter("low <> high").select("unit", "least"), "unit").filter(F.col("left") >= share * (F.col("n") + F.col("least")) - 1e-6)
+    entry = common.materialise(entry)
+    blocks = entry.groupBy("unit").agg(F.ceil(F.count(F.lit(1)) / BLOCK).cast("int").alias("blocks"), F.min("label").alias("low"), F.max("label").alias("high"))
+    entry = common.materialise(entry.join(blocks.filter("low <> high").select("unit", "blocks"), "unit"))
+
+    def side(name: str) -> list:
+        return [F.col(c).alias(f"{name}_{c}") for c in ("doc_id", "label", "n", "left")]
+
+    one = entry.select("unit", F.pmod(F.xxhash64("doc_id"), F.col("blocks")).cast("int").alias("block"), *side("a"))
+    other = entry.select("unit", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), *side("b"))
+    enough = F.least("a_left", "b_left") >= share * (F.col("a_n") + F.col("b_n")) - 1e-6
+    pairs = one.join(other, (one["unit"] == other["unit"]) & (one["block"] == other["block"]) & (F.col("a_label") < F.col("b_label")) & enough)
+    return pairs.select(F.col("a_doc_id").alias("a"), F.col("b_doc_id").alias("b")).distinct()
+
+
 def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, rows: int = ROWS, rounds: int = ROUNDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """doc_id, copy_of (smallest id of its copies), class_id (smallest id of its class): one row per input row."""
     docs = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text"))
@@ -227,18 +282,20 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
     # One row per distinct text: joined on ids, which no group of copies makes uneven.
     unique = drawn.join(copies.select(F.col("copy_of").alias("doc_id")), "doc_id", "left_semi").select("doc_id", "bands").dropDuplicates(["doc_id"])
     member = common.materialise(unique.select("doc_id", F.explode("bands").alias("bucket")))
-    several = member.groupBy("bucket").agg(F.count(F.lit(1)).alias("n"), F.min("doc_id").alias("pivot")).filter("n > 1").select("bucket", "pivot")
-    alive = common.materialise(member.join(common.materialise(several), "bucket"))
-    texts = alive.select("doc_id").distinct()
-    texts = common.materialise(docs.join(common.materialise(texts), "doc_id", "left_semi").dropDuplicates(["doc_id"]))
+    several = member.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).filter("n > 1")
+    shared = common.materialise(member.join(several, "bucket"))
+    # The more texts share one's buckets, the nearer it is to the middle of its group.
+    rank = common.materialise(shared.groupBy("doc_id").agg((-F.sum("n")).alias("rank")))
+    alive = common.materialise(shared.select("bucket", "doc_id").join(rank, "doc_id"))
+    texts = common.materialise(docs.join(rank, "doc_id", "left_semi").dropDuplicates(["doc_id"]))
 
     none = docs.sparkSession.createDataFrame([], "a long, b long, similarity double")
     edges, label = none, none.select(F.col("a").alias("node"), F.col("b").alias("label"))
-    for r in range(rounds):
+    for _ in range(rounds):
+        pivots = alive.groupBy("bucket").agg(F.min(F.struct("rank", "doc_id"))["doc_id"].alias("pivot"))
+        alive = common.materialise(alive.join(common.materialise(pivots), "bucket"))
         pairs = alive.filter("doc_id <> pivot").select(F.col("doc_id").alias("a"), F.col("pivot").alias("b")).distinct()
         found = common.materialise(similarities(pairs, texts))
-        if found.isEmpty():
-            break
         edges = edges.union(found.filter(F.col("similarity") >= threshold))
         label = components(edges)
         seen = alive.join(found.withColumnsRenamed({"a": "doc_id", "b": "pivot"}), ["doc_id", "pivot"], "left")
@@ -249,16 +306,16 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
         state = common.materialise(state.filter("low <> high").select("bucket", "close"))
         kept = seen.filter("doc_id <> pivot").join(state, "bucket").filter(
             (F.col("similarity") < threshold) | ((F.col("similarity") < 1) & (F.col("close") >= 1 - 2 * (1 - threshold)) & (1 - F.col("similarity") + 1e-9 >= 1 - F.col("close") - (1 - threshold))))
-        alive = common.materialise(kept.select("bucket", "doc_id", "label"))
+        kept = common.materialise(kept.select("bucket", "doc_id", "label", "rank"))
+        mixed = kept.groupBy("bucket").agg(F.min("label").alias("low"), F.max("label").alias("high")).filter("low <> high").select("bucket")
+        alive = common.materialise(kept.join(common.materialise(mixed), "bucket").select("bucket", "doc_id", "rank"))
         if alive.isEmpty():
             break
-        order = F.struct(F.xxhash64("doc_id", F.lit(r)).alias("h"), "doc_id")
-        pivots = alive.groupBy("bucket").agg(F.min(order)["doc_id"].alias("pivot"), F.min("label").alias("low"), F.max("label").alias("high")).filter("low <> high").select("bucket", "pivot")
-        rest, alive = alive, common.materialise(alive.drop("label").join(common.materialise(pivots), "bucket"))
-        if r == rounds - 1:
-            x, y = rest.select("bucket", F.col("doc_id").alias("a"), F.col("label").alias("la")), rest.select("bucket", F.col("doc_id").alias("b"), F.col("label").alias("lb"))
-            left = x.join(y, "bucket").filter("la <> lb and a < b").select("a", "b").distinct()
-            found = common.materialise(similarities(left, texts).filter(F.col("similarity") >= threshold))
+    else:
+        rest = alive.select("doc_id").distinct().join(label.withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("label", F.coalesce("label", "doc_id"))
+        left = common.materialise(links_between(texts, common.materialise(rest), threshold))
+        found = common.materialise(similarities(left, texts).filter(F.col("similarity") >= threshold))
+        if not found.isEmpty():
             label = components(edges.union(found))
     named = copies.join(label.withColumnRenamed("node", "copy_of"), "copy_of", "left").select("copy_key", "copy_of", F.coalesce("label", "copy_of").alias("class_id"))
     return drawn.select("doc_id", "copy_key").join(common.materialise(named), "copy_key").select("doc_id", "copy_of", "class_id")

@@ -142,6 +142,70 @@ def test_near_duplicates_against_brute_force(spark):
     assert sum(got[i] == label[i] for i in range(len(texts))) >= 0.97 * len(texts)
 
 
+def brute_classes(texts):
+    """Class of each text by comparing all pairs at 0.8, and the links."""
+    sets = [shingles(t) for t in texts]
+    label, links = list(range(len(texts))), []
+    for i in range(len(texts)):
+        for j in range(i):
+            # Sizes alone rule most pairs out.
+            n, m = sum(sets[i].values()), sum(sets[j].values())
+            if min(n, m) >= 0.8 * max(n, m) and similarity(sets[i], sets[j]) >= 0.8:
+                links.append((i, j))
+                a, b = label[i], label[j]
+                label = [min(a, b) if x in (a, b) else x for x in label]
+    return label, links
+
+
+def near_group(copies=150, words=150):
+    """Copies of one text with none to a fifth of their words exchanged: half are beyond reach of all others."""
+    rng = np.random.default_rng(11)
+    base = [f"b{i}" for i in range(words)]
+    out = []
+    for _ in range(copies):
+        w = list(base)
+        for at in rng.integers(0, words, int(rng.integers(0, 12))):
+            w[at] = f"x{int(rng.integers(0, 60))}"
+        out.append(" ".join(w))
+    return out
+
+
+def test_large_group_of_near_copies_is_classed_exactly_without_all_pairs(spark, monkeypatch):
+    texts = near_group()
+    label, links = brute_classes(texts)
+    compared = []
+    exact = near_dup.similarities
+
+    def counted(pairs, bodies):
+        compared.append(pairs.count())
+        return exact(pairs, bodies)
+
+    monkeypatch.setattr(near_dup, "similarities", counted)
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    got = {r["doc_id"]: r["class_id"] for r in near_dup.classes(df).collect()}
+    assert [got[i] for i in range(len(texts))] == label
+    assert len(set(label)) > 20 and sum(compared) < len(texts) * (len(texts) - 1) / 4
+
+
+def test_links_between_finds_every_link_of_different_classes(spark):
+    texts = near_group(80)
+    _, links = brute_classes(texts)
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    label = spark.createDataFrame([(i, i if i % 3 else 0) for i in range(len(texts))], "doc_id long, label long")
+    got = {(r["a"], r["b"]) for r in near_dup.links_between(df, label).collect()}
+    wanted = {(i, j) for i, j in links if i % 3 or j % 3}
+    assert wanted and all((i, j) in got or (j, i) in got for i, j in wanted)
+
+
+def test_recall_against_exact_pairs_on_given_documents(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    rows = [r for r in docs.select("doc_id", "text").collect() if r["text"] is not None]
+    got = {r["doc_id"]: r["class_id"] for r in near_dup.classes(docs).collect()}
+    _, links = brute_classes([r["text"] for r in rows])
+    found = sum(got[rows[i]["doc_id"]] == got[rows[j]["doc_id"]] for i, j in links)
+    assert links and found >= 0.9 * len(links)
+
+
 def test_dart_signatures_estimate_similarity():
     a = " ".join(f"w{i}" for i in range(400))
     b = " ".join(f"w{i}" if i % 50 else f"x{i}" for i in range(400))
