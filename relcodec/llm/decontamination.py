@@ -11,13 +11,17 @@ value of the text.
 All steps are DataFrame expressions. The windows of the benchmark are broadcast only if counted to be at most
 `MAX_BROADCAST`; else the join shuffles. Texts are scanned once, and only matches leave the map side.
 
-Defined cases: null and empty texts are clean; items of fewer than WINDOW tokens match nothing; a window that several
-items share counts for each; repeated rows are one document (its matches are counted once); an empty benchmark leaves all texts clean.
+Defined cases: null and empty texts are clean; items of fewer than WINDOW tokens match nothing, nor do windows of
+placeholders only; a window that several items share counts for each; repeated rows are one document (its matches are
+counted once); of items that share an id one is taken; very long texts are read whole; of several items found the
+smallest id is named; an empty benchmark leaves all texts clean, an empty table of documents gives an empty result;
+further columns, whatever their names, are ignored by `contaminated`.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from relcodec.llm import common
@@ -29,9 +33,6 @@ MAX_BROADCAST = 1_000_000
 NAME, NUMBER, UNIT = "zznamezz", "zznumzz", "zzunitzz"
 #: Units after a number.
 UNITS = "km|kg|cm|mm|m|g|l|ml|h|min|s|percent|miles|mile|hours|hour|minutes|days|years|dollars|dollar|euros|euro|cents"
-#: Patterns of the SQL, which knows neither names at sentence starts nor runs of names nor decimals.
-_NAMES = r"([\p{Ll},;] )\p{Lu}\p{Ll}+"
-_OTHER = r"[^\p{L}\p{N}]+"
 #: Words that are no names where a sentence starts (elsewhere every capitalised word is one).
 COMMON = ("a|about|after|all|also|although|an|and|another|any|are|as|at|because|before|both|but|by|calculate|can|compute|consider|could|did|do|does|during|each|either|estimate|every|explain|find|first|for|from|"
           "given|had|has|have|he|her|here|his|how|however|if|in|into|is|it|its|last|later|let|many|may|more|most|my|next|no|not|now|of|on|once|one|or|our|out|over|question|she|should|show|since|so|solve|some|"
@@ -70,22 +71,29 @@ def template_tokens(canon: Column) -> Column:
 
 
 def windows(table: DataFrame, keys: list[str], text: str) -> DataFrame:
-    """keys, at, h, raw (all raw tokens), template: a row per window."""
+    """keys, at, h, raw (the window's raw tokens), template (its template tokens): a row per window.
+
+    Each window takes its own tokens along, never the whole text's, so the work grows with the length of a text."""
     cut = common.let(canonical(F.col(text)), lambda c: F.struct(raw_tokens(c).alias("raw"), template_tokens(c).alias("template")))
     # Exploded, so that no later projection computes it again.
-    cut = table.select(*keys, F.explode(F.array(cut)).alias("cut")).select(*keys, "cut.*")
-    return cut.select(*keys, "raw", "template", F.posexplode(common.window_hashes(F.col("template"), WINDOW)).alias("at", "h"))
+    cut = table.select(*keys, F.explode(F.array(cut)).alias("cut"))
+    own = lambda name, i: F.slice(F.col(f"cut.{name}"), i + 1, WINDOW).alias(name)
+    each = F.transform(common.window_hashes(F.col("cut.template"), WINDOW), lambda h, i: F.struct(i.alias("at"), h.alias("h"), own("raw", i), own("template", i)))
+    return cut.select(*keys, F.explode(each).alias("w")).select(*keys, "w.*")
 
 
 def occurrences(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """doc_id, item_id, shift, windows: the occurrences of benchmark items in texts that count."""
     items = windows(benchmark.filter("item_id is not null").dropDuplicates(["item_id"]), ["item_id"], "text")
-    items = items.select("item_id", F.col("at").alias("item_at"), "h", F.slice("raw", F.col("at") + 1, WINDOW).alias("item_raw"), (F.size("raw") - WINDOW + 1).alias("item_windows"))
+    # A window of placeholders only is no template: every table of numbers would meet every item with a row of numbers.
+    items = items.filter(F.exists("template", lambda t: ~t.isin(NAME, NUMBER, UNIT)))
+    items = items.select("item_id", F.col("at").alias("item_at"), "h", F.col("raw").alias("item_raw"), F.col("template").alias("item_template"), F.count(F.lit(1)).over(W.partitionBy("item_id")).alias("item_windows"))
     items = common.materialise(items)
-    hits = windows(docs, ["doc_id"], "text").join(common.small_side(items, items.count(), MAX_BROADCAST), "h").select(
+    # A window's hash stands for its template, so the text's own is not needed behind it.
+    hits = windows(docs, ["doc_id"], "text").drop("template").join(common.small_side(items, items.count(), MAX_BROADCAST), "h").select(
         "doc_id", "item_id", "item_at", (F.col("at") - F.col("item_at")).alias("shift"), "item_windows",
         # The slots of a window: (item's value, text's value) wherever the template has a placeholder.
-        F.filter(F.arrays_zip(F.slice("template", F.col("at") + 1, WINDOW).alias("t"), F.col("item_raw").alias("i"), F.slice("raw", F.col("at") + 1, WINDOW).alias("d")),
+        F.filter(F.arrays_zip(F.col("item_template").alias("t"), F.col("item_raw").alias("i"), F.col("raw").alias("d")),
                  lambda s: s["t"].isin(NAME, NUMBER, UNIT)).alias("slots"))
     hits = common.materialise(hits)
     found = hits.groupBy("doc_id", "item_id", "shift").agg(F.count_distinct("item_at").alias("windows"), F.max("item_windows").alias("item_windows"))
@@ -115,21 +123,34 @@ def op10_template_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame
 
 
 def _sql(table: str, key: str) -> str:
+    """raw and template of every text in SQL without look-around: runs are cut apart and looked at with their neighbours."""
+    starters = ", ".join(f"'{w}'" for w in _STARTERS.split("|"))
     return f"""
-  SELECT {key}, string_split(trim(regexp_replace(lower(coalesce(text, '')), '{_OTHER}', ' ', 'g')), ' ') AS raw,
-         string_split(trim(regexp_replace(regexp_replace(trim(regexp_replace(lower(regexp_replace(coalesce(text, ''), '{_NAMES}', '\\1{NAME}', 'g')), '{_OTHER}', ' ', 'g')),
-           '\\p{{N}}+', '{NUMBER}', 'g') || ' ', '{NUMBER} ({UNITS}) ', '{NUMBER} {UNIT} ', 'g')), ' ') AS template
-  FROM {table}"""
-
-
+  SELECT {key}, string_split(trim(regexp_replace(lower(replace(canon, chr(1), '')), '[^\\p{{L}}\\p{{N}}\\x02]+', ' ', 'g')), ' ') AS raw,
+   string_split(trim(regexp_replace(regexp_replace(trim(regexp_replace(lower(regexp_replace(canon, '\\x01[^\\x01]+\\x01', '{NAME}', 'g')), '[^\\p{{L}}\\p{{N}}\\x02]+', ' ', 'g')),
+     '\\p{{N}}[\\p{{N}}\\x02]*', '{NUMBER}', 'g') || ' ', '{NUMBER} ({UNITS}) ', '{NUMBER} {UNIT} ', 'g')), ' ') AS template
+  FROM (SELECT {key}, regexp_replace(array_to_string(list_transform(w, lambda x, i: CASE
+     WHEN (regexp_full_match(x, '(\\p{{Lu}}\\p{{Ll}}+)+') AND (x NOT IN ({starters})
+        OR (w[i - 1] = ' ' AND regexp_matches(w[i - 2], '\\p{{Ll}}$')) OR regexp_matches(w[i - 1], '[,;] $')))
+       OR (regexp_full_match(x, '\\p{{Lu}}') AND w[i + 1] IN (chr(39), chr(8217)) AND regexp_matches(w[i + 2], '^\\p{{Lu}}\\p{{Ll}}')) THEN chr(1) || x || chr(1)
+     ELSE x END), ''), '\\x01[ \\x27\\x{{2019}}-]\\x01', chr(2), 'g') AS canon
+   FROM (SELECT {key}, regexp_extract_all(array_to_string(list_transform(n, lambda x, i: CASE
+       WHEN x NOT IN ('.', ',') OR i = 1 OR i = len(n) THEN x WHEN x = ',' AND length(n[i + 1]) = 3 THEN '' ELSE chr(2) END), ''), '[\\p{{L}}\\p{{N}}]+|[^\\p{{L}}\\p{{N}}]+') AS w
+    FROM (SELECT {key}, regexp_extract_all(translate(coalesce(text, ''), chr(1) || chr(2), '  '), '\\p{{N}}+|[^\\p{{N}}]+') AS n FROM {table})))"""
+
+
+_HOLDERS = f"('{NAME}', '{NUMBER}', '{UNIT}')"
 ORACLE = f"""
 WITH d AS ({_sql('documents', 'doc_id')}), i AS ({_sql('benchmark', 'item_id')}),
 dw AS (SELECT doc_id, p, raw[p:p + {WINDOW - 1}] AS r, template[p:p + {WINDOW - 1}] AS w FROM (SELECT *, unnest(range(1, len(template) - {WINDOW - 2})) AS p FROM d WHERE len(template) >= {WINDOW})),
-iw AS (SELECT item_id, p, raw[p:p + {WINDOW - 1}] AS r, template[p:p + {WINDOW - 1}] AS w, n FROM (SELECT *, len(template) - {WINDOW - 1} AS n, unnest(range(1, len(template) - {WINDOW - 2})) AS p FROM i WHERE len(template) >= {WINDOW})),
+iw AS (SELECT *, count(*) OVER (PARTITION BY item_id) AS n FROM (
+  SELECT item_id, p, raw[p:p + {WINDOW - 1}] AS r, template[p:p + {WINDOW - 1}] AS w FROM (SELECT *, unnest(range(1, len(template) - {WINDOW - 2})) AS p FROM i WHERE len(template) >= {WINDOW}))
+  WHERE len(list_filter(w, lambda t: t NOT IN {_HOLDERS})) > 0),
 hit AS (SELECT doc_id, item_id, dw.p - iw.p AS shift, iw.p AS ipos, n, iw.r AS ir, dw.r AS dr, iw.w AS w FROM dw JOIN iw ON dw.w = iw.w),
 occ AS (SELECT doc_id, item_id, shift, count(DISTINCT ipos) AS windows FROM hit GROUP BY ALL HAVING count(DISTINCT ipos) >= least({ENOUGH}, ceil(max(n) / 2))),
-slot AS (SELECT doc_id, item_id, shift, ir[k] AS iv, dr[k] AS dv FROM (SELECT *, unnest(range(1, {WINDOW + 1})) AS k FROM hit) WHERE w[k] IN ('{NAME}', '{NUMBER}', '{UNIT}')),
-broken AS (SELECT DISTINCT doc_id, item_id, shift FROM (SELECT doc_id, item_id, shift, iv FROM slot GROUP BY ALL HAVING count(DISTINCT dv) > 1)),
+slot AS (SELECT doc_id, item_id, shift, ir[k] AS iv, dr[k] AS dv, w[k] AS t FROM (SELECT *, unnest(range(1, {WINDOW + 1})) AS k FROM hit) WHERE w[k] IN {_HOLDERS}),
+value AS (SELECT doc_id, item_id, shift, iv, list(DISTINCT dv) AS vs, bool_and(t = '{NAME}') AS names, arg_min(dv, struct_pack(n := length(dv), v := dv)) AS short FROM slot GROUP BY ALL HAVING count(DISTINCT dv) > 1),
+broken AS (SELECT DISTINCT doc_id, item_id, shift FROM value WHERE NOT (names AND len(list_filter(vs, lambda v: NOT contains(chr(2) || v || chr(2), chr(2) || short || chr(2)))) = 0)),
 good AS (SELECT * FROM occ ANTI JOIN broken USING (doc_id, item_id, shift)),
 per AS (SELECT doc_id, count(DISTINCT item_id) AS n_items, min(item_id) AS item_id, max(windows) AS windows FROM good GROUP BY doc_id)
 SELECT doc_id, per.item_id IS NOT NULL AS contaminated, coalesce(n_items, 0)::BIGINT AS n_items, per.item_id, coalesce(windows, 0)::BIGINT AS windows, per.item_id IS NULL AS kept
