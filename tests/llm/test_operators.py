@@ -248,7 +248,7 @@ def test_decontamination_of_names_and_decimals(spark):
 def test_surrogates(docs, empty, spark):
     rows = [(1, "Mail Ann.Lee@mail1.example.com or ann.lee@mail1.example.com, call +1 (555) 123-4567."), (2, "card 4539578763621486, again 4539-5787-6362-1486 and 10.1.2.3"), (3, 'token = "24be64439e3e49cf46b2d7c90f3602a3"'),
             (4, None), (5, ""), (6, "nothing here 42 1999"), (7, "Mrs Jane Doe met Mr. Doe. ann.lee@mail1.example.com")]
-    out = {r["doc_id"]: r["text"] for r in pii.replace(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    out = {r["doc_id"]: r["text"] for r in pii.replace(spark.createDataFrame(rows, "doc_id long, text string"), "k1").collect()}
     assert out[4] is None and out[5] == "" and out[6] == rows[5][1]
     assert "example.com" not in out[1] and "123-4567" not in out[1] and re.search(r"call \+\d \(\d{3}\) \d{3}-\d{4}\.", out[1])
     mails = re.findall(r"\S+@\S+?\.example", out[1])
@@ -258,8 +258,54 @@ def test_surrogates(docs, empty, spark):
     digits = [int(c) for c in cards[0]][::-1]
     assert sum(d if k % 2 == 0 else sum(divmod(2 * d, 10)) for k, d in enumerate(digits)) % 10 == 0
     assert re.fullmatch(r'token = "[0-9a-f]{32}"', out[3]) and "24be" not in out[3]
-    assert out[7].startswith("Mrs ") and "Doe" not in out[7] and any(f"Mrs {n} " in out[7] for n in pii.FEMALE)
-    assert pii.replace(docs).columns == [*docs.columns, "n_entities"] and pii.replace(empty).count() == 0
+    assert out[7].startswith("Mrs ") and "Doe" not in out[7]
+    named = docs.withColumns({"_raw": F.lit("r"), "_moved": F.lit("m"), "n_entities": F.lit(-1), "kind": F.lit("k")})
+    kept = pii.replace(named, "k1")
+    assert sorted(kept.columns) == sorted(named.columns) and pii.replace(empty, "k1").count() == 0
+    assert {(r["_raw"], r["_moved"], r["kind"], r["n_entities"]) for r in kept.collect()} == {("r", "m", "k", 0)}
+
+
+def surrogates_of(spark, texts, key="k1"):
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    return [r["text"] for r in sorted(pii.replace(df, key).collect(), key=lambda r: r["doc_id"])]
+
+
+def test_persons_keep_coreference_gender_and_script(spark):
+    out = surrogates_of(spark, ["Mr. Doe met Mr Doe and Mrs Jane Doe and Mrs. Doe.", "Dr Anna Weber. Dr Hans Weber.", "Mr Иван Петров und г. Москва", "Mr JOHN DOE", "Herr Hans Peter Müller; Mrs McDonald, Ms O'Brien-Smith",
+                                "Mrs Jane Doe came. Jane Doe left; then Doe, not Doenut."])
+    family = re.match(r"Mr\. (\w+) met Mr (\w+) and Mrs (\w+) (\w+) and Mrs\. (\w+)\.", out[0]).groups()
+    assert len({family[0], family[1], family[3], family[4]}) == 1 and family[2].split("-")[0] in pii.GIVEN["latin"]["f"]
+    anna, hans = re.match(r"Dr ([\w-]+) (\w+)\. Dr ([\w-]+) (\w+)\.", out[1]).group(1, 3)
+    assert anna.split("-")[0] in pii.GIVEN["latin"]["f"] and hans.split("-")[0] in pii.GIVEN["latin"]["m"]
+    assert re.match(r"Mr [А-Яа-я-]+ [А-Яа-я]+ und г\. Москва$", out[2]) and "Петров" not in out[2]
+    assert out[3].split()[2] == family[0].upper()
+    assert not any(w in out[4] for w in ("Hans", "Peter", "Müller", "McDonald", "Brien", "Smith"))
+    assert re.fullmatch(rf"Mrs ([\w-]+) {family[0]} came\. \1 {family[0]} left; then {family[0]}, not Doenut\.", out[5])
+
+
+def test_only_real_numbers_are_replaced(spark):
+    texts = ["v1.2.3.4 and 999.9.9.9 and 1.2.3.4.5", "order 1234567890123456", "card 4539578763621486, host 10.0.0.1."]
+    out = surrogates_of(spark, texts)
+    assert out[:2] == texts[:2] and "4539578763621486" not in out[2] and "10.0.0.1" not in out[2]
+    assert surrogates_of(spark, texts, "another key")[2] != out[2] and surrogates_of(spark, texts)[2] == out[2]
+
+
+def test_surrogate_hash_is_hmac(spark):
+    import hashlib
+    import hmac
+
+    got = spark.range(1).select(pii.hmac512("a key", F.lit("some text")).alias("h")).first()["h"]
+    assert got == hmac.new(b"a key", b"some text", hashlib.sha512).hexdigest()
+
+
+def test_full_space_of_surrogates_is_placed_exactly(spark):
+    # All mailboxes of one letter at one host: random draws cannot place them, ranks do.
+    mails = [f"{c}@full.org" for c in "abcdefghijklmnopqrstuvwxyz"]
+    out = surrogates_of(spark, [" ".join(mails)])[0].split()
+    assert len(set(out)) == 26 and not set(out) & set(mails)
+    given = [f"Mrs {w.capitalize()} Doe" for w in ("anna", *(f"{a}{b}{c}na" for a in "bdk" for b in "aeiou" for c in "lmnr"))]
+    names = surrogates_of(spark, [". ".join(given)])[0].split(". ")
+    assert len(set(names)) == len(given)
 
 
 def test_surrogates_stay_distinct(spark):
