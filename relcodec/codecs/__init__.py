@@ -80,8 +80,9 @@ class JsonFlat(Codec):
         return {k: F.get_json_object(c, f"$.{k}").try_cast("long") for k in self.params["keys"]}
 
     def join(self, parts):
-        members = [F.concat(F.lit(json.dumps(k) + ": "), parts[k].cast("string")) for k in self.params["keys"]]
-        return F.concat(F.lit("{"), F.concat_ws(", ", *members), F.lit("}"))
+        members = [F.concat(F.lit((", " if i else "{") + json.dumps(k) + ": "), parts[k].cast("string")) for i, k in enumerate(self.params["keys"])]
+        # NULL if any member is: a NULL text must not come back as an object.
+        return F.concat(*members, F.lit("}"))
 
 
 class Url(Codec):
@@ -116,7 +117,31 @@ class FloatVector(Codec):
         return F.array(*[parts[f"e{i}"].cast(self.params.get("type", "float")) for i in range(self.params["dim"])])
 
 
-for _name, _codec in (("template", TemplateId), ("json", JsonFlat), ("url", Url), ("vector", FloatVector)):
+class Nested(Codec):
+    """A struct, map or array of anything but numbers: its values travel whole, as JSON."""
+
+    def split(self, c):
+        return {}
+
+    def join(self, parts):
+        return F.lit(None)
+
+
+def json_safe(t: T.DataType) -> bool:
+    """Whether values of a nested type come back from JSON exactly."""
+    if isinstance(t, T.ArrayType):
+        return json_safe(t.elementType)
+    if isinstance(t, T.MapType):
+        return isinstance(t.keyType, T.StringType) and json_safe(t.valueType)
+    if isinstance(t, T.StructType):
+        return len({f.name.lower() for f in t.fields}) == len(t.fields) and all(json_safe(f.dataType) for f in t.fields)
+    return isinstance(t, (T.NumericType, T.StringType, T.BooleanType, T.BinaryType, T.DateType, T.TimestampType, T.TimestampNTZType))
+
+
+#: Formats that keep microseconds.
+JSON = {"timestampFormat": "yyyy-MM-dd'T'HH:mm:ss.SSSSSSXXX", "timestampNTZFormat": "yyyy-MM-dd'T'HH:mm:ss.SSSSSS", "timeZone": "UTC"}
+
+for _name, _codec in (("template", TemplateId), ("json", JsonFlat), ("url", Url), ("vector", FloatVector), ("nested", Nested)):
     register_codec(_name, _codec)
 
 
@@ -139,13 +164,16 @@ class Expansion:
             chosen, params = (codecs or {}).get(f.name), {}
             values = [r[f.name] for r in rows if r[f.name] is not None]
             element = f.dataType.elementType if isinstance(f.dataType, T.ArrayType) else None
-            if chosen in (None, "vector") and isinstance(element, (T.NumericType, T.StringType)):
-                # Texts have no coordinates: all of them travel whole.
-                found = REGISTRY["vector"].detect(values) if isinstance(element, T.NumericType) else {"dim": 0}
-                chosen, params = "vector", found | {"type": "float" if isinstance(element, T.FloatType) else "double", "raw": True}
-            elif isinstance(f.dataType, (T.StringType, T.ArrayType)) and len(set(map(str, values))) > len(values) // 4:
+            nested = isinstance(f.dataType, (T.StructType, T.MapType, T.ArrayType)) and not isinstance(element, T.NumericType)
+            if nested and not json_safe(f.dataType):
+                raise TypeError(f"column {f.name}: an archive cannot hold the type {f.dataType.simpleString()}")
+            if nested:
+                chosen, params = "nested", {"raw": True}
+            elif chosen in (None, "vector") and isinstance(element, T.NumericType):
+                chosen, params = "vector", REGISTRY["vector"].detect(values) | {"type": "float" if isinstance(element, T.FloatType) else "double", "raw": True}
+            elif isinstance(f.dataType, T.StringType) and len(set(map(str, values))) > len(values) // 4:
                 for name in [chosen] if chosen else REGISTRY:
-                    if (name == "vector") == isinstance(f.dataType, T.ArrayType):
+                    if name not in ("vector", "nested"):
                         found = REGISTRY[name].detect(values)
                         if found is not None:
                             chosen, params = name, found
@@ -160,6 +188,9 @@ class Expansion:
             if codec is None:
                 out.append(c)
                 continue
+            if codec == "nested":
+                out.append(F.coalesce(F.to_json(c, JSON), F.lit("null")).alias(f"{name}__raw"))
+                continue
             own = REGISTRY[codec](**params)
             parts = own.split(c)
             whole = own.join(parts) if dtype == "string" else own.join(parts).try_cast(dtype)
@@ -198,6 +229,9 @@ class Expansion:
                 out.append(F.col(quoted(name)))
                 continue
             raw = F.col(quoted(f"{name}__raw"))
+            if codec == "nested":
+                out.append(F.when(raw != "null", F.from_json(raw, dtype, JSON)).alias(name))
+                continue
             whole = REGISTRY[codec](**params).join({k: F.col(quoted(f"{name}__{k}")) for k in self.parts(name, dtype, codec, params) if k != "raw"})
             if dtype == "string":
                 whole = F.coalesce(raw, whole)

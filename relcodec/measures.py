@@ -30,14 +30,22 @@ def reduction(ours: float, other: float) -> float:
 
 
 def closeness(df: DataFrame, back: DataFrame, key: str, spec: TableSpec) -> DataFrame:
-    """attribute, max_error, violations: how far restored values are from the originals, by key."""
-    both = df.select(F.col(key).alias("_k"), *[F.col(quoted(a.name)).alias(f"o_{a.name}") for a in spec.attributes]).join(back.select(F.col(key).alias("_k"), *[F.col(quoted(a.name)).alias(f"r_{a.name}") for a in spec.attributes]), "_k")
+    """attribute, max_error, violations, lost: how far restored values are from the originals, by key.
+
+    A row on one side only is a violation of every attribute and counts as lost."""
+    one = df.select(F.col(key).alias("_k"), F.lit(True).alias("_o"), *[F.col(quoted(a.name)).alias(f"o_{a.name}") for a in spec.attributes])
+    other = back.select(F.col(key).alias("_b"), F.lit(True).alias("_r"), *[F.col(quoted(a.name)).alias(f"r_{a.name}") for a in spec.attributes])
+    both = one.join(other, F.col("_k").eqNullSafe(F.col("_b")), "full")
+    lost = F.col("_o").isNull() | F.col("_r").isNull()
     rows = []
     for a in spec.attributes:
         o, r = F.col(quoted(f"o_{a.name}")), F.col(quoted(f"r_{a.name}"))
-        error = F.abs(o.cast("double") - r.cast("double")) if a.numeric and a.kind not in ("timestamp", "date") else F.when(o.eqNullSafe(r), 0.0).otherwise(1.0)
-        rows.append(F.struct(F.lit(a.name).alias("attribute"), F.coalesce(error, F.when(o.eqNullSafe(r), 0.0).otherwise(math.inf)).alias("error"), F.lit(float(a.tolerance) if a.numeric else 0.0).alias("allowed")))
-    return both.select(F.explode(F.array(*rows)).alias("x")).groupBy("x.attribute").agg(F.max("x.error").alias("max_error"), F.count_if(F.col("x.error") > F.col("x.allowed") + 1e-9).alias("violations"))
+        near = a.numeric and a.kind not in ("timestamp", "date")
+        error = F.abs(o.cast("double") - r.cast("double")) if near else F.lit(None).cast("double")
+        error = F.when(lost, math.inf).when(o.eqNullSafe(r), 0.0).otherwise(F.coalesce(error, F.lit(math.inf if near else 1.0)))
+        rows.append(F.struct(F.lit(a.name).alias("attribute"), error.alias("error"), lost.alias("lost"), F.lit(float(a.tolerance) if a.numeric else 0.0).alias("allowed")))
+    return both.select(F.explode(F.array(*rows)).alias("x")).groupBy("x.attribute").agg(
+        F.max("x.error").alias("max_error"), F.count_if(F.col("x.error") > F.col("x.allowed") + 1e-9).alias("violations"), F.count_if("x.lost").alias("lost"))
 
 
 def size_breakdown(spark: SparkSession, archive: archives.Archive) -> DataFrame:

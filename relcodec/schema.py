@@ -10,6 +10,7 @@ import dataclasses
 import json
 import struct
 from dataclasses import dataclass, field
+from decimal import Decimal
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -17,11 +18,16 @@ from pyspark.sql import types as T
 
 MAX_CATEGORICAL = 4096
 LARGEST_CATEGORICAL = 1 << 15
+#: Ranges of images from here on would leave 64 bits in between; such numbers travel as text.
+WIDEST = 1 << 62
+#: Bit patterns of 32-bit floats are multiples of this among those of doubles.
+FLOAT_UNIT = 1 << 29
 
 
 @dataclass(frozen=True)
 class Attribute:
-    """kind: categorical, integer, decimal (scale), timestamp (unit in microseconds), date, real or string."""
+    """kind: categorical, integer, decimal (scale), timestamp (unit in microseconds), date, real (unit: what all bit
+    patterns are multiples of) or string (texts, and values of any type that no number image holds exactly)."""
 
     name: str
     kind: str
@@ -57,11 +63,11 @@ class Attribute:
 
     @property
     def image_lo(self) -> int:
-        return ordered_int(self.lo) if self.kind == "real" else int(self.lo)
+        return ordered_int(self.lo) // self.unit if self.kind == "real" else int(self.lo)
 
     @property
     def image_hi(self) -> int:
-        return ordered_int(self.hi) if self.kind == "real" else int(self.hi)
+        return ordered_int(self.hi) // self.unit if self.kind == "real" else int(self.hi)
 
     @property
     def depth(self) -> int:
@@ -69,13 +75,13 @@ class Attribute:
 
     def integer_image(self, c: Column) -> Column:
         if self.kind == "decimal":
-            return F.round(c * 10**self.scale).cast("long")
+            return (c * F.lit(10**self.scale) if self.dtype.startswith("decimal") else F.round(c * 10**self.scale)).cast("long")
         if self.kind == "timestamp":
             return F.expr(f"{micros(self.name, self.dtype)} div {self.unit}L")
         if self.kind == "date":
             return F.unix_date(c).cast("long")
         if self.kind == "real":
-            return ordered_bits(c)
+            return ordered_bits(c) if self.unit == 1 else F.shiftright(ordered_bits(c), self.unit.bit_length() - 1)
         return c.cast("long")
 
     def image(self) -> Column:
@@ -83,22 +89,23 @@ class Attribute:
         if self.kind == "categorical":
             return c.cast("string")
         if self.kind == "string":
-            return c
+            return F.base64(c) if self.dtype == "binary" else c.cast("string")
         if self.grid:
             x = F.ceil((c.cast("double") - F.lit(float(self.lo))) / (2 * self.tolerance)).cast("long") - 1
             return F.least(F.greatest(x, F.lit(0).cast("long")), F.lit(self.leaves - 1).cast("long"))
         d = self.integer_image(c) - F.lit(self.image_lo).cast("long")
-        # Images are below 2^53 wherever they are divided, so the quotient is exact enough to floor.
-        return d if self.step == 1 else F.floor(d.cast("double") / self.step).cast("long")
+        return d if self.step == 1 else F.call_function("div", d, F.lit(self.step).cast("long"))
 
     def restore(self) -> Column:
         c = F.col(quoted(self.name))
         if self.kind in ("categorical", "string"):
-            return c.cast(self.dtype)
+            return F.unbase64(c) if self.dtype == "binary" else F.lit(None).cast("void") if self.dtype == "void" else c.cast(self.dtype)
         if self.grid:
             return (F.lit(float(self.lo)) + (c + 0.5) * (2 * self.tolerance)).cast(self.dtype)
         v = c * self.step + F.lit(self.image_lo).cast("long")
         v = v + (self.step - 1) // 2 if self.step > 1 else v
+        if self.kind == "decimal" and self.dtype.startswith("decimal"):
+            return (v.cast("decimal(19,0)") * F.lit(Decimal(1).scaleb(-self.scale))).cast(self.dtype)
         if self.kind == "decimal":
             return (v / 10**self.scale).cast(self.dtype)
         if self.kind == "timestamp":
@@ -109,7 +116,8 @@ class Attribute:
         if self.kind == "date":
             return F.date_from_unix_date(v.cast("int"))
         if self.kind == "real":
-            return from_ordered_bits(v).cast(self.dtype)
+            low = self.unit.bit_length() - 1
+            return from_ordered_bits(v if low == 0 else F.when(v < 0, -F.shiftleft(-v - 1, low) - 1).otherwise(F.shiftleft(v, low))).cast(self.dtype)
         return v.cast(self.dtype)
 
 
@@ -193,20 +201,47 @@ class TableSpec:
         return cls(tuple(Attribute(**a | {"dictionary": tuple(a["dictionary"])}) for a in json.loads(text)))
 
 
+def spec_of(f: T.StructField, r, base: dict) -> Attribute:
+    """The attribute of a column without a dictionary, from its range."""
+    text = Attribute(kind="string", **base)
+    if isinstance(f.dataType, (T.DoubleType, T.FloatType)) and not r["odd"]:
+        scale = next((s for s in (0, 1, 2) if r[f"scale{s}"]), None)
+        if scale is not None:
+            return Attribute(kind="decimal", scale=scale, lo=round(r["lo"] * 10**scale), hi=round(r["hi"] * 10**scale), **base)
+        real = Attribute(kind="real", lo=r["lo"], hi=r["hi"], unit=FLOAT_UNIT if r["single"] else 1, **base)
+        return real if real.image_hi - real.image_lo < WIDEST else text
+    if isinstance(f.dataType, T.DecimalType) and f.dataType.precision <= 18:
+        return Attribute(kind="decimal", scale=f.dataType.scale, lo=int(r["lo"].scaleb(f.dataType.scale)), hi=int(r["hi"].scaleb(f.dataType.scale)), **base)
+    if isinstance(f.dataType, (T.TimestampType, T.TimestampNTZType)):
+        unit = 86_400_000_000 if r["days"] else 1_000_000 if r["seconds"] else 1
+        return Attribute(kind="timestamp", unit=unit, lo=r["lo"] // unit, hi=r["hi"] // unit, **base)
+    if isinstance(f.dataType, (T.DateType, T.IntegralType)) and r["hi"] - r["lo"] < WIDEST:
+        return Attribute(kind="date" if isinstance(f.dataType, T.DateType) else "integer", lo=r["lo"], hi=r["hi"], **base)
+    return text
+
+
 def infer_spec(df: DataFrame, max_categorical: int = MAX_CATEGORICAL, categorical: tuple[str, ...] = ()) -> TableSpec:
     """Kinds and domains from the data: one aggregate for ranges, one for the dictionaries of small domains.
 
     A double is decimal if every value is a multiple of 1, 0.1 or 0.01, a timestamp counts days, seconds or
-    microseconds. Dictionaries hold at most max_categorical (and never over 2^15) values, so the driver's share is bounded.
+    microseconds. Numbers that an image would not give back exactly (NaN, infinities, a negative zero, subnormal
+    doubles, decimals of over 18 digits, ranges of 2^62) travel as text, bytes in base 64. Nested types must be taken
+    apart before (`codecs.Expansion`); types without a text form are an error. Dictionaries hold at most max_categorical (and never over 2^15) values, so the driver's share is bounded.
     """
     asked = [F.count(F.lit(1)).alias("_rows")]
     for f in df.schema.fields:
+        if not isinstance(f.dataType, (T.NumericType, T.StringType, T.BooleanType, T.BinaryType, T.DateType, T.TimestampType, T.TimestampNTZType, T.NullType)):
+            raise TypeError(f"column {f.name}: an archive cannot hold the type {f.dataType.simpleString()}")
         c = F.col(quoted(f.name))
         one = [F.count(F.when(c.isNull(), 1)).alias("nulls"), F.approx_count_distinct(c).alias("distinct")]
         if isinstance(f.dataType, (T.DoubleType, T.FloatType)):
             d = c.cast("double")
             one += [F.min(d).alias("lo"), F.max(d).alias("hi")]
             one += [F.bool_and(((F.round(d * 10**s) / 10**s) == d) & (F.abs(d) < 1e13)).alias(f"scale{s}") for s in (0, 1, 2)]
+            one.append(F.bool_or(F.isnan(d) | (F.abs(d) == float("inf")) | ((d == 0) & d.cast("string").startswith("-")) | ((d != 0) & (F.abs(d) < 2.0**-1000))).alias("odd"))
+            one.append(F.bool_and(d.cast("float").cast("double") == d).alias("single"))
+        elif isinstance(f.dataType, T.DecimalType):
+            one += [F.min(c).alias("lo"), F.max(c).alias("hi")]
         elif isinstance(f.dataType, (T.TimestampType, T.TimestampNTZType)):
             m = F.expr(micros(f.name, f.dataType.simpleString()))
             one += [F.min(m).alias("lo"), F.max(m).alias("hi"), F.bool_and(F.pmod(m, F.lit(86_400_000_000)) == 0).alias("days"), F.bool_and(F.pmod(m, F.lit(1_000_000)) == 0).alias("seconds")]
@@ -222,22 +257,10 @@ def infer_spec(df: DataFrame, max_categorical: int = MAX_CATEGORICAL, categorica
         r = found[f.name]
         base = {"name": f.name, "dtype": f.dataType.simpleString(), "nullable": r["nulls"] > 0}
         few = max(64, found["_rows"] / 4)
-        if f.name in categorical or r["distinct"] <= min(max_categorical, LARGEST_CATEGORICAL, few) * 0.95 and not isinstance(f.dataType, (T.ArrayType, T.MapType, T.StructType)):
+        if f.name in categorical or r["distinct"] <= min(max_categorical, LARGEST_CATEGORICAL, few) * 0.95 and not isinstance(f.dataType, T.BinaryType):
             small.append(f.name)
             continue
-        if isinstance(f.dataType, T.StringType):
-            kinds[f.name] = Attribute(kind="string", **base)
-        elif isinstance(f.dataType, (T.DoubleType, T.FloatType)):
-            scale = next((s for s in (0, 1, 2) if r[f"scale{s}"]), None)
-            if scale is not None:
-                kinds[f.name] = Attribute(kind="decimal", scale=scale, lo=round(r["lo"] * 10**scale), hi=round(r["hi"] * 10**scale), **base)
-            else:
-                kinds[f.name] = Attribute(kind="real", lo=r["lo"], hi=r["hi"], **base)
-        elif isinstance(f.dataType, (T.TimestampType, T.TimestampNTZType)):
-            unit = 86_400_000_000 if r["days"] else 1_000_000 if r["seconds"] else 1
-            kinds[f.name] = Attribute(kind="timestamp", unit=unit, lo=r["lo"] // unit, hi=r["hi"] // unit, **base)
-        else:
-            kinds[f.name] = Attribute(kind="date" if isinstance(f.dataType, T.DateType) else "integer", lo=r["lo"], hi=r["hi"], **base)
+        kinds[f.name] = spec_of(f, r, base)
     if small:
         sets = F.struct(*[F.array_sort(F.collect_set(F.col(quoted(n)).cast("string"))).alias(n) for n in small])
         values = df.agg(sets.alias("s")).first()["s"]
