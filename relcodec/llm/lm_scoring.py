@@ -1,9 +1,11 @@
 """Language-model scoring over a sharded Elias-Fano n-gram trie.
 
-The model interpolates a word's probability after its context with the add-one unigram probability (Dirichlet
-smoothing of strength KAPPA):
+The model takes a part DISCOUNT off every count seen after a context and gives it to the add-one unigram probability
+(absolute discounting; t(h) is how many different words followed the context, which the trie's pointers tell):
 
-    p(w | h) = (c(h, w) + KAPPA * p1(w)) / (c(h) + KAPPA),   p1(w) = (c(w) + 1) / (N + V + 1)
+    p(w | h) = max(c(h, w) - DISCOUNT, 0) / c(h) + DISCOUNT * t(h) / c(h) * p1(w),   p1(w) = (c(w) + 1) / (N + V + 1)
+
+and p1(w) alone after a context never seen.
 
 A corpus' n-grams outgrow any machine, so the trie is cut into shards by a hash of the context and words meet their
 shard by one shuffle:
@@ -19,7 +21,8 @@ Shards and blocks grow in number with the corpus and not in size. Everything bet
 shared scratch folder, so a lost executor repeats tasks only.
 
 Defined cases: null and empty texts are one end token; words of a held-out document unknown to training have p1 of
-count 0; repeated rows train and score as often as they occur; an empty table gives an empty result.
+count 0; repeated rows train and score as often as they occur; very long texts are read whole (a block holds at least
+one document); a null id comes back null; further columns are ignored; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -40,7 +43,7 @@ from pyspark.sql import functions as F
 from relcodec.llm import common
 from relcodec.llm.elias_fano import KEY_BITS, Trie, restore
 
-KAPPA = 30.0
+DISCOUNT = 0.75
 BLOCK_TOKENS = 500_000
 SHARD_TOKENS = 1_000_000
 HELD_OUT_MODULUS, HELD_OUT_REMAINDER = 7, 2
@@ -175,7 +178,7 @@ def requests(blocks: DataFrame, shards: int) -> DataFrame:
     return blocks.select("block_id", "body").mapInArrow(asked, "shard int, block_id long, ask binary")
 
 
-def answered(frame: pd.DataFrame, kappa: float) -> pd.DataFrame:
+def answered(frame: pd.DataFrame, discount: float) -> pd.DataFrame:
     """One shard: its trie from all requests, and an answer to each."""
     asks = [pickle.loads(x) for x in frame["ask"]]
     words = [np.frombuffer(a[0], np.uint64) for a in asks]
@@ -201,7 +204,9 @@ def answered(frame: pd.DataFrame, kappa: float) -> pd.DataFrame:
     # c(h): how often the context was followed by anything.
     after = np.bincount(context, total, len(word))
     first = np.concatenate([[0], np.cumsum(np.bincount(context, minlength=len(word)))]).astype(np.int64)
-    trie = Trie.build(word, first, short, np.log10(kappa / (after + kappa)), np.log10(total / (after[context] + kappa))).mapped()
+    # A context that nothing followed leaves everything to the unigrams.
+    rest = np.where(after > 0, discount * np.diff(first) / np.maximum(after, 1), 1.0)
+    trie = Trie.build(word, first, short, np.log10(rest), np.log10(np.maximum(total - discount, 1e-9) / after[context])).mapped()
     marks = (word == BEGIN)
     known, tokens = int(((count > 0) & ~marks).sum()), int(count[~marks].sum())
     replies = []
@@ -231,13 +236,13 @@ def scored(block: pd.DataFrame, answers: pd.DataFrame, shards: int, n: int, v: i
         "base_score": per(np.log10(unigram)[b.token]), "score": per(np.log10(p))})
 
 
-def score(docs: DataFrame, kappa: float = KAPPA, block_tokens: int = BLOCK_TOKENS, shard_tokens: int = SHARD_TOKENS) -> DataFrame:
+def score(docs: DataFrame, discount: float = DISCOUNT, block_tokens: int = BLOCK_TOKENS, shard_tokens: int = SHARD_TOKENS) -> DataFrame:
     """Scores every row of docs (doc_id, text, held_out); rows that aren't held out are the training corpus."""
     blocks = common.materialise(blocks_of(docs, block_tokens))
     total = blocks.agg(F.sum("n_tokens")).first()[0] or 0
     shards = max(8, -(-total // shard_tokens))
     answers = requests(blocks, shards).groupBy("shard").applyInPandas(
-        lambda frame: answered(frame, kappa), "shard int, block_id long, known long, tokens long, answer binary")
+        lambda frame: answered(frame, discount), "shard int, block_id long, known long, tokens long, answer binary")
     answers = common.materialise(answers)
     sums = answers.groupBy("shard").agg(F.max("known").alias("known"), F.max("tokens").alias("tokens")).agg(F.sum("known"), F.sum("tokens")).first()
     v, n = int(sums[0] or 0), int(sums[1] or 0)

@@ -378,18 +378,21 @@ def test_elias_fano():
 def test_language_model(docs, empty):
     out = lm_scoring.score(docs.select("doc_id", "text", (F.col("doc_id") % 4 == 2).alias("held_out")), block_tokens=100, shard_tokens=200).collect()
     tokens = {i: [*re.findall(r"[^\x20\x09-\x0D]+", (t or "").lower()), None] for i, t, *_ in ROWS}
-    count, pair, context = collections.Counter(), collections.Counter(), collections.Counter()
+    count, pair, context, after = collections.Counter(), collections.Counter(), collections.Counter(), collections.defaultdict(set)
     for i, *_ in ROWS:
         if i % 4 != 2:
             count.update(tokens[i])
             pair.update(zip(["<s>", *tokens[i][:-1]], tokens[i], strict=True))
             context.update(["<s>", *tokens[i][:-1]])
+            for h, w in zip(["<s>", *tokens[i][:-1]], tokens[i], strict=True):
+                after[h].add(w)
     n, v = sum(count.values()), len(count)
     assert len(out) == len(ROWS)
     for r in out:
         t = tokens[r["doc_id"]]
         p1 = [(count[w] + 1) / (n + v + 1) for w in t]
-        p = [(pair[h, w] + lm_scoring.KAPPA * q) / (context[h] + lm_scoring.KAPPA) for h, w, q in zip(["<s>", *t[:-1]], t, p1, strict=True)]
+        d = lm_scoring.DISCOUNT
+        p = [(max(pair[h, w] - d, 0) + d * len(after[h]) * q) / context[h] if context[h] else q for h, w, q in zip(["<s>", *t[:-1]], t, p1, strict=True)]
         assert r["n_tokens"] == len(t) and r["train_tokens"] == n and r["n_known"] == sum(count[w] > 0 for w in t)
         assert r["base_score"] == pytest.approx(sum(map(math.log10, p1)), abs=1e-9)
         assert r["score"] == pytest.approx(sum(map(math.log10, p)), abs=2e-4 * len(t) + 1e-3)
