@@ -10,8 +10,10 @@ of a bucket is found by partial aggregation, buckets hand it on in a narrow wind
 captures are ordered within (URL, bucket) only. Payloads never move; `attach_payload` fetches them by record id.
 
 Defined cases: null URLs match nothing; captures with equal time count a response as not earlier; of several
-responses at one time the largest record_id counts as the latest; null headers are empty; repeated rows repeat;
-an empty table gives an empty result; further columns are ignored.
+responses at one time the largest record_id counts as the latest; null headers are empty, and so are null values; header
+names that differ in case only are one header with its values joined; repeated rows repeat; an empty table gives an
+empty result; further columns, whatever their names, are ignored; URLs and headers of any length are read whole. In
+WARC files a record without a date has no time, and one with an unreadable length ends where the next record starts.
 """
 
 from __future__ import annotations
@@ -45,7 +47,14 @@ def canonical_url(url: Column) -> Column:
 
 
 def lower_keys(headers: Column) -> Column:
-    return F.transform_keys(F.coalesce(headers, F.create_map().cast("map<string,string>")), lambda k, _: F.lower(k))
+    """Headers by lower-case name; lines whose names differ in case only are one, joined as HTTP joins repeated lines
+    (equal values once)."""
+    def merged(entries: Column) -> Column:
+        names = F.array_distinct(F.transform(entries, lambda e: F.lower(e["key"])))
+        own = lambda k: F.array_join(F.array_distinct(F.transform(F.filter(entries, lambda e: F.lower(e["key"]) == k), lambda e: F.coalesce(e["value"], F.lit("")))), ", ")
+        return F.map_from_entries(F.transform(names, lambda k: F.struct(k, own(k))))
+
+    return common.let(F.map_entries(F.coalesce(headers, F.create_map().cast("map<string,string>"))), merged)
 
 
 def resolve(captures: DataFrame, bucket_seconds: int = BUCKET_SECONDS) -> DataFrame:
@@ -65,8 +74,11 @@ def resolve(captures: DataFrame, bucket_seconds: int = BUCKET_SECONDS) -> DataFr
     carried = by_bucket.select("url_key", "bucket", F.last("own", ignorenulls=True).over(W.partitionBy("url_key").orderBy("bucket").rowsBetween(W.unboundedPreceding, -1)).alias("before"))
     within = W.partitionBy("url_key", "bucket").orderBy("ts", F.col("full").cast("int"), "record_id").rowsBetween(W.unboundedPreceding, -1)
     # At one time revisits sort before responses, so a response counts only if it is earlier.
-    nearest = base.withColumn("inside", F.last(response, ignorenulls=True).over(within)).filter("not full")
-    found = nearest.join(carried, ["url_key", "bucket"], "left").withColumn("hit", F.when(F.col("url_key").isNotNull(), F.coalesce("inside", "before")))
+    nearest = base.filter("url_key is not null").withColumn("inside", F.last(response, ignorenulls=True).over(within)).filter("not full")
+    found = nearest.join(carried, ["url_key", "bucket"], "left").withColumn("hit", F.coalesce("inside", "before")).drop("inside", "before")
+    # Revisits without a URL match nothing, so they meet no window and no join.
+    nowhere = base.filter("not full and url_key is null").withColumn("hit", F.lit(None).cast(found.schema["hit"].dataType))
+    found = found.unionByName(nowhere)
 
     tag = lambda c: F.regexp_replace(F.element_at(c, "etag"), "^W/", "")
     mine, theirs = F.col("headers"), F.col("hit.headers")
@@ -96,11 +108,21 @@ def read_warc(spark: SparkSession, path: str) -> DataFrame:
             for content in frame["content"]:
                 rows = list(parse_warc(content))
                 if rows:
-                    yield pd.DataFrame(rows)
+                    yield pd.DataFrame(rows).astype({"ts": "Int64"})
 
     return spark.read.format("binaryFile").load(path).select("content").mapInPandas(parsed, schema)
 
 
+def joined(lines: list[str]) -> dict[str, str]:
+    """Header lines as a dictionary; lines of one name are joined with commas."""
+    out: dict[str, str] = {}
+    for line in lines:
+        name, colon, value = line.partition(":")
+        if colon:
+            out[name.strip()] = f"{out[name.strip()]}, {value.strip()}" if name.strip() in out else value.strip()
+    return out
+
+
 def parse_warc(content: bytes) -> Iterator[dict]:
     """Response and revisit records of a WARC file's bytes, in order; records of other types are passed over."""
     import gzip
@@ -115,9 +137,10 @@ def parse_warc(content: bytes) -> Iterator[dict]:
         end = data.find(b"\r\n\r\n", at)
         if end < 0:
             return
-        head = dict(line.split(": ", 1) for line in data[at:end].decode("utf-8", "replace").split("\r\n")[1:] if ": " in line)
-        head = {k.lower(): v for k, v in head.items()}
-        size = int(head.get("content-length", 0))
+        head = {k.lower(): v for k, v in joined(data[at:end].decode("utf-8", "replace").split("\r\n")[1:]).items()}
+        length = head.get("content-length", "").strip()
+        following = data.find(b"\r\nWARC/", end + 4)
+        size = int(length) if length.isascii() and length.isdigit() else (following if following >= 0 else len(data)) - end - 4
         block = data[end + 4: end + 4 + size]
         at = end + 4 + size
         while data[at: at + 2] == b"\r\n":
@@ -126,10 +149,14 @@ def parse_warc(content: bytes) -> Iterator[dict]:
             continue
         http, _, body = block.partition(b"\r\n\r\n")
         first, *lines = http.decode("latin-1").split("\r\n")
-        status = int(first.split(" ")[1]) if first.count(" ") else 0
-        when = datetime.fromisoformat(head["warc-date"].replace("Z", "+00:00"))
-        yield {"record_id": xxhash.xxh64_intdigest(head.get("warc-record-id", "")) >> 1, "url": head.get("warc-target-uri"), "ts": int(when.timestamp()), "status": status,
-               "headers": dict(x.split(": ", 1) for x in lines if ": " in x), "digest": head.get("warc-payload-digest") or hashlib.sha1(body).hexdigest(), "size": len(body), "payload": body}
+        code = first.split(" ")[1] if first.count(" ") else ""
+        status = int(code) if code.isascii() and code.isdigit() else 0
+        try:
+            when = int(datetime.fromisoformat(head["warc-date"].replace("Z", "+00:00")).timestamp())
+        except (KeyError, ValueError):
+            when = None
+        yield {"record_id": xxhash.xxh64_intdigest(head.get("warc-record-id", "")) >> 1, "url": head.get("warc-target-uri"), "ts": when, "status": status,
+               "headers": joined(lines), "digest": head.get("warc-payload-digest") or hashlib.sha1(body).hexdigest(), "size": len(body), "payload": body}
 
 
 def format_warc(record_id: str, kind: str, url: str, ts: int, status: str, headers: dict[str, str], body: bytes = b"") -> bytes:

@@ -424,3 +424,22 @@ def test_revisits(spark, tmp_path):
     (tmp_path / "a.warc").write_bytes(record * 2)
     read = warc_revisit.read_warc(spark, str(tmp_path)).collect()
     assert len(read) == 2 and read[0]["payload"] == b"body" and read[0]["ts"] == 1_700_000_000 and read[0]["headers"] == {"ETag": '"q"'}
+
+
+def test_revisits_with_odd_headers_and_urls(spark):
+    schema = "record_id long, url string, ts long, status int, headers map<string,string>, digest string, size long, bucket string, own int"
+    rows = [(1, "http://a.org/x", 10, 200, {"ETag": "t", "etag": "t", "Vary": None}, "d", 1, "b", 0), (2, "http://a.org/x", 20, 304, {"ETAG": "t"}, None, None, "b", 0),
+            (3, None, 20, 304, {"ETag": "t"}, None, None, "b", 0), (4, None, 5, 200, None, "e", 1, "b", 0), (5, "http://a.org/x", 30, 304, None, None, None, "b", 0)]
+    out = {r["revisit_id"]: r for r in warc_revisit.resolve(spark.createDataFrame(rows, schema)).collect()}
+    assert out[2]["outcome"] == "resolved" and out[2]["headers"] == {"etag": "t", "vary": ""}
+    assert out[3]["outcome"] == "no_response" and out[5]["outcome"] == "validator_mismatch" and len(out) == 3
+
+
+def test_warc_records_with_faults(spark):
+    good = warc_revisit.format_warc("<urn:1>", "response", "http://a.org/", 100, "200 OK", {"ETag": "x"}, b"body")
+    no_length = good.replace(b"Content-Length: ", b"Content-Length: x")
+    no_date = b"\r\n".join(x for x in good.split(b"\r\n") if not x.startswith(b"WARC-Date"))
+    twice = warc_revisit.format_warc("<urn:2>", "response", "http://b.org/", 100, "200 OK", {"Vary": "a\r\nVary: b"}, b"")
+    rows = list(warc_revisit.parse_warc(no_length + no_date + twice + good))
+    assert [r["ts"] for r in rows] == [100, None, 100, 100] and rows[2]["headers"]["Vary"] == "a, b"
+    assert rows[3]["payload"] == b"body" == rows[1]["payload"] and rows[0]["payload"].startswith(b"body")
