@@ -70,35 +70,52 @@ def template_tokens(canon: Column) -> Column:
     return F.split(F.trim(F.regexp_replace(F.concat(counted, F.lit(" ")), f"{NUMBER} ({UNITS}) ", f"{NUMBER} {UNIT} ")), " ")
 
 
-def windows(table: DataFrame, keys: list[str], text: str) -> DataFrame:
-    """keys, at, h, raw (the window's raw tokens), template (its template tokens): a row per window.
-
-    Each window takes its own tokens along, never the whole text's, so the work grows with the length of a text."""
+def tokens(table: DataFrame, keys: list[str], text: str) -> DataFrame:
+    """keys, cut (raw and template tokens)."""
     cut = common.let(canonical(F.col(text)), lambda c: F.struct(raw_tokens(c).alias("raw"), template_tokens(c).alias("template")))
     # Exploded, so that no later projection computes it again.
-    cut = table.select(*keys, F.explode(F.array(cut)).alias("cut"))
-    own = lambda name, i: F.slice(F.col(f"cut.{name}"), i + 1, WINDOW).alias(name)
-    each = F.transform(common.window_hashes(F.col("cut.template"), WINDOW), lambda h, i: F.struct(i.alias("at"), h.alias("h"), own("raw", i), own("template", i)))
-    return cut.select(*keys, F.explode(each).alias("w")).select(*keys, "w.*")
+    return table.select(*keys, F.explode(F.array(cut)).alias("cut"))
+
+
+def windows(table: DataFrame, keys: list[str], text: str) -> DataFrame:
+    """keys, at, h: a row per window, without its tokens."""
+    return tokens(table, keys, text).select(*keys, F.posexplode(common.window_hashes(F.col("cut.template"), WINDOW)).alias("at", "h"))
+
+
+def item_windows(benchmark: DataFrame) -> DataFrame:
+    """item_id, item_at, h, item_template, item_raw (the window's tokens), item_windows (how many the item has).
+
+    A window of placeholders only is no template: every table of numbers would meet every item with a row of numbers."""
+    items = tokens(benchmark.filter("item_id is not null").dropDuplicates(["item_id"]), ["item_id"], "text")
+    cut = lambda name: F.slice(f"cut.{name}", F.col("item_at") + 1, WINDOW).alias(f"item_{name}")
+    items = items.select("item_id", "cut", F.posexplode(common.window_hashes(F.col("cut.template"), WINDOW)).alias("item_at", "h")).select("item_id", "item_at", "h", cut("template"), cut("raw"))
+    items = items.filter(F.exists("item_template", lambda t: ~t.isin(NAME, NUMBER, UNIT)))
+    return items.withColumn("item_windows", F.count(F.lit(1)).over(W.partitionBy("item_id")))
 
 
 def occurrences(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
-    """doc_id, item_id, shift, windows: the occurrences of benchmark items in texts that count."""
-    items = windows(benchmark.filter("item_id is not null").dropDuplicates(["item_id"]), ["item_id"], "text")
-    # A window of placeholders only is no template: every table of numbers would meet every item with a row of numbers.
-    items = items.filter(F.exists("template", lambda t: ~t.isin(NAME, NUMBER, UNIT)))
-    items = items.select("item_id", F.col("at").alias("item_at"), "h", F.col("raw").alias("item_raw"), F.col("template").alias("item_template"), F.count(F.lit(1)).over(W.partitionBy("item_id")).alias("item_windows"))
-    items = common.materialise(items)
-    # A window's hash stands for its template, so the text's own is not needed behind it.
-    hits = windows(docs, ["doc_id"], "text").drop("template").join(common.small_side(items, items.count(), MAX_BROADCAST), "h").select(
-        "doc_id", "item_id", "item_at", (F.col("at") - F.col("item_at")).alias("shift"), "item_windows",
-        # The slots of a window: (item's value, text's value) wherever the template has a placeholder.
-        F.filter(F.arrays_zip(F.col("item_template").alias("t"), F.col("item_raw").alias("i"), F.col("raw").alias("d")),
-                 lambda s: s["t"].isin(NAME, NUMBER, UNIT)).alias("slots"))
+    """doc_id, item_id, shift, windows: the occurrences of benchmark items in texts that count.
+
+    Windows of texts are joined by hash alone; only the texts of occurrences with slots are cut again for their values."""
+    items = common.materialise(item_windows(benchmark))
+    n_items = items.count()
+    holders = F.exists("item_template", lambda t: t.isin(NAME, NUMBER, UNIT)).alias("slotted")
+    docs = docs.select("doc_id", "text", F.xxhash64("doc_id", "text").alias("row_key"))
+    places = items.select("item_id", "item_at", "h", "item_windows", holders)
+    hits = windows(docs, ["doc_id", "row_key"], "text").join(common.small_side(places, n_items, MAX_BROADCAST), "h").select(
+        "doc_id", "row_key", "item_id", "item_at", "at", (F.col("at") - F.col("item_at")).alias("shift"), "item_windows", "slotted")
     hits = common.materialise(hits)
     found = hits.groupBy("doc_id", "item_id", "shift").agg(F.count_distinct("item_at").alias("windows"), F.max("item_windows").alias("item_windows"))
     found = found.filter(F.col("windows") >= F.least(F.lit(ENOUGH), F.ceil(F.col("item_windows") / 2)))
-    slots = hits.filter(F.size("slots") > 0).select("doc_id", "item_id", "shift", F.explode("slots").alias("s")).groupBy("doc_id", "item_id", "shift", F.col("s.i").alias("i"))
+    found = common.materialise(found)
+    asked = hits.filter("slotted").join(found.select("doc_id", "item_id", "shift"), ["doc_id", "item_id", "shift"], "left_semi")
+    asked = common.materialise(asked.groupBy("row_key").agg(F.collect_set(F.struct("doc_id", "item_id", "shift", "item_at", "at")).alias("hits")))
+    cut = tokens(docs.join(common.small_side(asked, asked.count(), MAX_BROADCAST), "row_key"), ["hits"], "text")
+    # The slots of a window: (item's value, text's value) wherever the template has a placeholder.
+    values = cut.select(F.explode(F.transform("hits", lambda x: F.struct(x.alias("x"), F.slice("cut.raw", x["at"] + 1, WINDOW).alias("raw")))).alias("v")).select("v.x.*", "v.raw")
+    values = values.join(common.small_side(items.select("item_id", "item_at", "item_raw", "item_template"), n_items, MAX_BROADCAST), ["item_id", "item_at"])
+    pairs = F.filter(F.arrays_zip(F.col("item_template").alias("t"), F.col("item_raw").alias("i"), F.col("raw").alias("d")), lambda s: s["t"].isin(NAME, NUMBER, UNIT))
+    slots = values.select("doc_id", "item_id", "shift", F.explode(pairs).alias("s")).groupBy("doc_id", "item_id", "shift", F.col("s.i").alias("i"))
     # At most as many values as the item has slots. A name may stand whole or in part: Mary Jones, then Mary.
     shortest = F.array_min(F.transform("values", lambda v: F.struct(F.length(v).alias("n"), v.alias("v"))))["v"]
     around = lambda v: F.concat(F.lit(_WITHIN), v, F.lit(_WITHIN))
