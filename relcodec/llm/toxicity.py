@@ -5,7 +5,9 @@ token is its share of all counted tokens, times `prior_tokens`); a token enters
 `min_z` standard deviations from zero. A linear scan then finds every maximal scoring segment of a text, tokens
 outside the lexicon costing a constant. The number of toxic passages and the best passage are judged by extreme-value
 statistics: with scores drawn at background rates, E = K n exp(-lambda S) passages of score S or more are expected in
-n tokens (lambda solves sum p exp(lambda s) = 1). A logistic curve over -log E, fitted on counts per bin, makes it a
+n tokens. Both constants come from the training sample's other texts: lambda solves sum p exp(lambda s) = 1 over the
+rates p at which their tokens occur, and K is the maximum-likelihood value given the best passage of each of them,
+m / sum n exp(-lambda S). A logistic curve over -log E, fitted on counts per bin, makes it a
 probability; the summed score of all maximal segments is its second input, so that many weak passages count too.
 
 The training sample is bounded (`max_per_class` labelled rows of each class, in the order of a hash of the id); the
@@ -13,7 +15,8 @@ lexicon is bounded by `max_lexicon` (largest |z| first). Both bounds hold at any
 broadcasts only ids of the sample, and scoring is map-only over whole texts.
 
 Defined cases: null and empty texts have no passage and get the lowest score; without labels of both classes every
-score is the share of label 1 (0 without labels); repeated rows score alike; further columns are ignored.
+score is the share of label 1 (0 without labels); repeated rows score alike; very long texts are scanned whole; of
+equally clear tokens at the lexicon's bound the first by alphabet stay; further columns are ignored.
 """
 
 from __future__ import annotations
@@ -81,15 +84,15 @@ class Model:
             return []
         return segments([s for _, s in hits], [i for i, _ in hits], self.gap_cost)
 
-    def evidence(self, words: list[str]) -> tuple[float, float, int, float]:
-        """(-log E summed over significant passages, summed score of all passages, number of significant ones, best
-        score): the larger, the less by chance."""
+    def evidence(self, words: list[str]) -> tuple[float, float, list[tuple[int, int, float]], float]:
+        """(-log E summed over significant passages, summed score of all passages, the significant ones, best score):
+        the larger, the less by chance."""
         found = self.passages(words)
         size = math.log(max(len(words), 1))
         worth = [self.lam * s - self.log_k - size for _, _, s in found]
-        good = [w for w in worth if w > 0]
         best = max((s for _, _, s in found), default=0.0)
-        return (sum(good) if good else max(worth, default=-self.log_k - size), sum(s for _, _, s in found), len(good), best)
+        good = [w for w in worth if w > 0]
+        return (sum(good) if good else max(worth, default=-self.log_k - size), sum(s for _, _, s in found), [f for f, w in zip(found, worth, strict=True) if w > 0], best)
 
     def score(self, evidence: float, total: float) -> float:
         if not self.lexicon:
@@ -125,29 +128,32 @@ def fit(sample: DataFrame, max_lexicon: int = MAX_LEXICON, prior_tokens: float =
 
     def counted(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
-            sums = {0: Counter(), 1: Counter()}
+            sums, often = {0: Counter(), 1: Counter()}, Counter()
             for label, text in zip(frame["label"], frame["text"], strict=True):
-                sums[label].update(set(tokens(text)))
-            rows = [(w, c, 0) for w, c in sums[0].items()] + [(w, 0, c) for w, c in sums[1].items()]
-            yield pd.DataFrame(rows, columns=["word", "n0", "n1"])
+                words = tokens(text)
+                sums[label].update(set(words))
+                if label == 0:
+                    often.update(words)
+            rows = [(w, c, 0, often[w]) for w, c in sums[0].items()] + [(w, 0, c, 0) for w, c in sums[1].items()]
+            yield pd.DataFrame(rows, columns=["word", "n0", "n1", "often"])
 
-    counts = sample.mapInPandas(counted, "word string, n0 long, n1 long").groupBy("word").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"))
+    counts = sample.mapInPandas(counted, "word string, n0 long, n1 long, often long").groupBy("word").agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"), F.sum("often").alias("often"))
     counts = common.materialise(counts)
-    total = counts.agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"), F.count(F.lit(1)).alias("v")).first()
+    total = counts.agg(F.sum("n0").alias("n0"), F.sum("n1").alias("n1"), F.sum("often").alias("often")).first()
     share = sample.groupBy().agg(F.sum(F.when(F.col("label") == 1, F.col("weight"))).alias("w1"), F.sum("weight").alias("w")).first()
     base_rate = (share["w1"] or 0.0) / share["w"] if share["w"] else 0.0
     if not total["n0"] or not total["n1"]:
         return Model({}, 1.0, 1.0, 0.0, (1.0, 0.0, 0.0), base_rate)
-    n0, n1 = float(total["n0"]), float(total["n1"])
+    n0, n1, occurring = float(total["n0"]), float(total["n1"]), float(total["often"])
     prior = (F.col("n0") + F.col("n1")) / (n0 + n1) * prior_tokens
     odds = lambda n, all_n: F.log((F.col(n) + prior) / (all_n + prior_tokens - F.col(n) - prior))
     delta = odds("n1", n1) - odds("n0", n0)
     z = delta / F.sqrt(1 / (F.col("n1") + prior) + 1 / (F.col("n0") + prior))
     # Bounded by max_lexicon: the clearest tokens of either sign.
-    rows = counts.select("word", delta.alias("delta"), z.alias("z"), ((F.col("n0")) / n0).alias("p0")).filter((F.abs("z") >= min_z) & (F.abs("delta") > 1.0)).orderBy(F.desc(F.abs("z")), "word").limit(max_lexicon).collect()
+    rows = counts.select("word", delta.alias("delta"), z.alias("z"), (F.col("often") / occurring).alias("p0")).filter((F.abs("z") >= min_z) & (F.abs("delta") > 1.0)).orderBy(F.desc(F.abs("z")), "word").limit(max_lexicon).collect()
     lexicon = {r["word"]: float(r["delta"]) for r in rows}
     gap = 0.02
-    positive = [(max(r["p0"], 0.1 / n0), lexicon[r["word"]]) for r in rows]
+    positive = [(max(r["p0"], 0.1 / occurring), lexicon[r["word"]]) for r in rows]
     if not any(s > 0 for _, s in positive):
         return Model({}, 1.0, 1.0, 0.0, (1.0, 0.0, 0.0), base_rate)
     rest = 1.0 - sum(p for p, _ in positive)
@@ -165,7 +171,15 @@ def fit(sample: DataFrame, max_lexicon: int = MAX_LEXICON, prior_tokens: float =
         mid = (low + high) / 2
         low, high = (mid, high) if excess(mid) < 0 else (low, mid)
     lam = (low + high) / 2
-    model = Model(lexicon, gap, lam, math.log(0.1), (1.0, 0.0, 0.0), base_rate)
+    model = Model(lexicon, gap, lam, 0.0, (1.0, 0.0, 0.0), base_rate)
+
+    def chances(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for frame in frames:
+            rows = [(len(w), max((s for _, _, s in model.passages(w)), default=0.0)) for w in map(tokens, frame["text"]) if w]
+            yield pd.DataFrame({"texts": [len(rows)], "expected": [sum(n * math.exp(-lam * best) for n, best in rows)]})
+
+    background = sample.filter("label = 0").select("text").mapInPandas(chances, "texts long, expected double").agg(F.sum("texts"), F.sum("expected")).first()
+    model.log_k = math.log((background[0] or 1) / max(background[1] or 1.0, 1e-300))
 
     def judged(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         for frame in frames:
@@ -196,7 +210,7 @@ def logistic(x: np.ndarray, y: np.ndarray, w: np.ndarray, ridge: float = 1e-2) -
 
 
 def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """doc_id, score, evidence, passages (first token, last token, score) of every text."""
+    """doc_id, score, evidence, passages (first token, last token and score of every significant one), best_score."""
     shared = docs.sparkSession.sparkContext.broadcast(model.__dict__)
 
     def scored(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
@@ -205,18 +219,18 @@ def score(docs: DataFrame, model: Model, id_col: str = "doc_id", text_col: str =
             rows = []
             for text in frame["text"]:
                 words = tokens(text)
-                evidence, total, n, best = own.evidence(words)
-                rows.append((own.score(evidence, total), evidence, n, best))
-            out = pd.DataFrame(rows, columns=["score", "evidence", "n_passages", "best_score"])
+                evidence, total, found, best = own.evidence(words)
+                rows.append((own.score(evidence, total), evidence, [{"first": a, "last": b, "score": s} for a, b, s in found], best))
+            out = pd.DataFrame(rows, columns=["score", "evidence", "passages", "best_score"])
             out.insert(0, "doc_id", frame["doc_id"].to_numpy())
             yield out
 
     return docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).alias("text")).mapInPandas(
-        scored, "doc_id long, score double, evidence double, n_passages int, best_score double")
+        scored, "doc_id long, score double, evidence double, passages array<struct<first:int,last:int,score:double>>, best_score double")
 
 
 def op4_segment_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, labels = common.documents(spark, sf_dir), common.table(spark, sf_dir, "labels")
     fold = common.fold(F.col("doc_id"), HELD_OUT_MODULUS)
     model = fit(training_sample(docs, labels.filter(fold != HELD_OUT_REMAINDER), "toxic", MAX_PER_CLASS))
-    return score(docs, model).select("doc_id", (fold == HELD_OUT_REMAINDER).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), "n_passages", "best_score")
+    return score(docs, model).select("doc_id", (fold == HELD_OUT_REMAINDER).alias("held_out"), "score", (F.col("score") >= 0.5).cast("int").alias("predicted"), F.size("passages").alias("n_passages"), "best_score")

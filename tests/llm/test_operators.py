@@ -335,6 +335,14 @@ def test_toxicity(docs, empty, spark):
     test = spark.createDataFrame([(1, sentence(900, 80)), (2, sentence(901, 80) + " nasty vile"), (3, None), (4, "")], "doc_id long, text string")
     got = {r["doc_id"]: r["score"] for r in toxicity.score(test, model).collect()}
     assert got[2] > 0.5 > got[1] and got[3] < 0.5 and got[4] < 0.5
+    spans = [(r["doc_id"], p) for r in toxicity.score(test, model).collect() for p in r["passages"]]
+    words = {r["doc_id"]: toxicity.tokens(r["text"]) for r in test.collect()}
+    # A passage starts and ends with a toxic word, and its score is the sum over its tokens.
+    assert spans
+    for i, p in spans:
+        inside = words[i][p["first"]: p["last"] + 1]
+        assert model.lexicon.get(inside[0], 0) > 0 and model.lexicon.get(inside[-1], 0) > 0
+        assert p["score"] == pytest.approx(sum(model.lexicon.get(w, -model.gap_cost) for w in inside))
     none = toxicity.fit(toxicity.training_sample(docs, labels.limit(0), "toxic", 10))
     assert {r["score"] for r in toxicity.score(docs, none).collect()} == {0.0}
     assert toxicity.score(empty, model).count() == 0
