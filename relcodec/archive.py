@@ -1,8 +1,8 @@
 """Archives: a model file and a Parquet table of coded blocks.
 
 compress = learn a structure on a bounded sample, fit masses in one scan, code in one map-only pass. A block row is
-(block_id, nrows, nbits, payload, offsets, zone): `offsets` holds the bit place of every INDEX_EVERY-th code, the
-codes between are found by decoding, since each ends by itself. The model is written last, so an archive without it is
+(block_id, nrows, nbits, payload, offsets, zone): `offsets` holds the bit place of every INDEX_EVERY-th code (of each, if
+they are long), the codes between are found by decoding, since each ends by itself. The model is written last, so an archive without it is
 incomplete. Blocks are numbered by partition and order within it, so a repeated task writes the same rows.
 """
 
@@ -26,6 +26,10 @@ from relcodec.schema import TableSpec, infer_spec, quoted
 
 BLOCK_ROWS = 8192
 INDEX_EVERY = 16
+#: Mean bits of a code from which on every code is indexed.
+LONG_CODE = 2048
+#: Bytes of images that a block should not exceed.
+BLOCK_BYTES = 4_000_000
 SAMPLE_ROWS = 2000
 BLOCKS = "block_id long, nrows int, nbits long, payload binary, offsets binary, zone map<string,struct<lo:long,hi:long>>, delta boolean"
 
@@ -129,10 +133,11 @@ def encode(images: DataFrame, network: Network, options: Options = Options()) ->
         for batch in batches:
             held.append(batch)
             count += batch.num_rows
-            while count >= block_rows:
+            size = min(block_rows, max(1, BLOCK_BYTES * batch.num_rows // max(batch.nbytes, 1)))
+            while count >= size:
                 table = pa.Table.from_batches(held)
-                yield flush(table.slice(0, block_rows))
-                rest = table.slice(block_rows)
+                yield flush(table.slice(0, size))
+                rest = table.slice(size)
                 held, count = rest.to_batches(), rest.num_rows
         if count:
             yield flush(pa.Table.from_batches(held))
@@ -156,8 +161,10 @@ def pack(net: Network, columns: dict[str, np.ndarray], rows: int, delta: bool) -
     if delta:
         bits = delta_encode(bits, sizes)
         return len(bits), np.packbits(bits).tobytes(), b""
-    starts = (np.cumsum(sizes) - sizes)[::INDEX_EVERY]
-    return len(bits), np.packbits(bits).tobytes(), zlib.compress(np.diff(starts, prepend=0).astype("<u4").view(np.uint8).reshape(-1, 4).T.tobytes(), 9)
+    # Long codes are indexed one by one: their index is small beside them, and they are decoded side by side.
+    every = INDEX_EVERY if len(bits) < LONG_CODE * max(rows, 1) else 1
+    starts = (np.cumsum(sizes) - sizes)[::every]
+    return len(bits), np.packbits(bits).tobytes(), bytes([every]) + zlib.compress(np.diff(starts, prepend=0).astype("<u4").view(np.uint8).reshape(-1, 4).T.tobytes(), 9)
 
 
 def delta_encode(bits: np.ndarray, sizes: np.ndarray) -> np.ndarray:
@@ -199,29 +206,30 @@ def delta_decode(net: Network, payload: bytes, nbits: int, rows: int) -> dict[st
 
 
 def unpack(net: Network, payload: bytes, offsets: bytes, rows: int, nbits: int, delta: bool, last: int | None = None, wanted: np.ndarray | None = None) -> dict[str, np.ndarray]:
-    """Columns of a block: runs of INDEX_EVERY codes are decoded side by side, one code of each at a time.
+    """Columns of a block: the runs between indexed codes are decoded side by side, one code of each at a time.
 
     `wanted`: places of the rows to decode (only their runs are touched); `last`: how many nodes are needed.
     """
     if delta:
         columns = delta_decode(net, payload, nbits, rows)
         return {k: v[wanted] if wanted is not None else v for k, v in columns.items()}
-    gaps = np.ascontiguousarray(np.frombuffer(zlib.decompress(offsets), np.uint8).reshape(4, -1).T).view("<u4").ravel()
+    every = offsets[0]
+    gaps = np.ascontiguousarray(np.frombuffer(zlib.decompress(offsets[1:]), np.uint8).reshape(4, -1).T).view("<u4").ravel()
     starts = np.cumsum(gaps.astype(np.int64))
-    runs = np.arange(len(starts)) if wanted is None else np.unique(wanted // INDEX_EVERY)
+    runs = np.arange(len(starts)) if wanted is None else np.unique(wanted // every)
     at = starts[runs]
     parts: list[dict[str, np.ndarray]] = []
     places: list[np.ndarray] = []
-    for k in range(INDEX_EVERY):
-        live = runs * INDEX_EVERY + k < rows
+    for k in range(every):
+        live = runs * every + k < rows
         if not live.any():
             break
         # Only whole codes tell where the next one starts; the last of each run may stop early.
-        stop = last if k == INDEX_EVERY - 1 else None
+        stop = last if k == every - 1 else None
         columns, ends = net.decode(payload, at[live], stop)
         at[live] = ends
         parts.append({n: columns[n] for n in (list(columns)[:last] if last else columns)})
-        places.append(runs[live] * INDEX_EVERY + k)
+        places.append(runs[live] * every + k)
     order = np.argsort(np.concatenate(places))
     out = {n: np.concatenate([p[n] for p in parts])[order] for n in parts[0]}
     if wanted is not None:

@@ -8,7 +8,7 @@ from __future__ import annotations
 
 import numpy as np
 
-from relcodec.interval import HALF, MASS, MASS_BITS, STATE_BITS, WHOLE, finish, narrow, shared_bits
+from relcodec.interval import HALF, MASS, MASS_BITS, NARROWEST, STATE_BITS, WHOLE, finish, narrow, shared_bits
 
 
 class Encoder:
@@ -50,7 +50,8 @@ class Decoder:
     """States of n rows that start at given bit places of a payload."""
 
     def __init__(self, payload: bytes, starts: np.ndarray):
-        self.bytes = np.concatenate([np.frombuffer(payload, np.uint8), np.zeros(16, np.uint8)])
+        self.raw = bytes(payload) + bytes(16)
+        self.bytes = np.frombuffer(self.raw, np.uint8)
         self.at = np.asarray(starts, np.int64).copy()
         n = len(self.at)
         self.start = self.at.copy()
@@ -96,6 +97,93 @@ class Decoder:
         return self.start + self.emitted + finish(self.low, self.high)[0]
 
 
+def narrow_one(low: int, high: int, c: int, d: int) -> tuple[int, int]:
+    """What `narrow` does, for one state."""
+    q, rem = (high - low) >> MASS_BITS, (high - low) & (MASS - 1)
+    a, b = low + q * c + ((rem * c + (MASS - 1)) >> MASS_BITS), low + q * d + ((rem * d) >> MASS_BITS)
+    if a < HALF < b and b - a < NARROWEST:
+        return (HALF, b) if b - HALF > HALF - a else (a, HALF)
+    return a, b
+
+
+class RowEncoder:
+    """One row of an Encoder, taken out of step: where few rows are left, plain integers are faster than arrays."""
+
+    def __init__(self, enc: Encoder, row: int):
+        self.enc, self.row = enc, row
+        self.low, self.high = int(enc.low[row]), int(enc.high[row])
+        self.values: list[int] = []
+        self.sizes: list[int] = []
+
+    def put(self, c: int, d: int) -> None:
+        low, high = narrow_one(self.low, self.high, c, d)
+        t = STATE_BITS - (low ^ (high - 1)).bit_length()
+        if t:
+            head = low >> (STATE_BITS - t)
+            self.values.append(head), self.sizes.append(t)
+            base = head << (STATE_BITS - t)
+            low, high = (low - base) << t, (high - base) << t
+        self.low, self.high = low, high
+
+    def put_uniform(self, value: int, bits: int) -> None:
+        while bits > 0:
+            t = min(bits, 14)
+            part = (value >> (bits - t)) & ((1 << t) - 1)
+            self.put(part << (MASS_BITS - t), (part + 1) << (MASS_BITS - t))
+            bits -= t
+
+    def close(self) -> None:
+        self.enc.low[self.row], self.enc.high[self.row] = self.low, self.high
+        if self.values:
+            self.enc.parts.append((np.full(len(self.values), self.row), np.array(self.values, np.int64), np.array(self.sizes, np.int64)))
+
+
+class RowDecoder:
+    """One row of a Decoder, taken out of step."""
+
+    def __init__(self, dec: Decoder, row: int):
+        self.dec, self.row, self.bytes = dec, row, dec.raw
+        self.low, self.high, self.window = int(dec.low[row]), int(dec.high[row]), int(dec.window[row])
+        self.at, self.emitted = int(dec.at[row]), int(dec.emitted[row])
+
+    def position(self) -> int:
+        return ((self.window - self.low) << MASS_BITS) // (self.high - self.low)
+
+    def holds(self, c: int, d: int) -> int:
+        """-1, 0 or 1: whether the window lies before, in or behind masses [c, d)."""
+        low, high = narrow_one(self.low, self.high, c, d)
+        return -1 if self.window < low else 1 if self.window >= high else 0
+
+    def take(self, c: int, d: int) -> None:
+        low, high = narrow_one(self.low, self.high, c, d)
+        t = STATE_BITS - (low ^ (high - 1)).bit_length()
+        if t:
+            base = (low >> (STATE_BITS - t)) << (STATE_BITS - t)
+            low, high = (low - base) << t, (high - base) << t
+            byte = min(self.at >> 3, len(self.bytes) - 8)
+            raw = (int.from_bytes(self.bytes[byte: byte + 8], "big") << (self.at & 7)) & 0xFFFFFFFFFFFFFFFF
+            self.window = ((self.window - base) << t) | (raw >> (64 - t))
+            self.at += t
+            self.emitted += t
+        self.low, self.high = low, high
+
+    def take_uniform(self, bits: int) -> int:
+        out = 0
+        while bits > 0:
+            t = min(bits, 14)
+            shift = MASS_BITS - t
+            part = self.position() >> shift
+            for _ in range(2):
+                part = min(max(part + self.holds(part << shift, (part + 1) << shift), 0), (1 << t) - 1)
+            self.take(part << shift, (part + 1) << shift)
+            out, bits = (out << t) | part, bits - t
+        return out
+
+    def close(self) -> None:
+        d, r = self.dec, self.row
+        d.low[r], d.high[r], d.window[r], d.at[r], d.emitted[r] = self.low, self.high, self.window, self.at, self.emitted
+
+
 class Masses:
     """Cumulative masses of many distributions: row g's symbols are sorted, their lows start at 0, and end at 2^16."""
 

@@ -7,6 +7,7 @@ its symbols under it, so the search needs contingency counts only.
 
 from __future__ import annotations
 
+import bisect
 import itertools
 import json
 import math
@@ -17,11 +18,13 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from relcodec.coder import MASS, Decoder, Encoder, Masses, masses_of, put_uniform, take_uniform
+from relcodec.coder import MASS, Decoder, Encoder, Masses, RowDecoder, RowEncoder, masses_of, put_uniform, take_uniform
 from relcodec.schema import Attribute, TableSpec, quoted
 
 CELL_BITS = 10
 PARENT_BITS = 5
+#: Fewer texts than this go on one by one: a step of arrays costs about as much as that many steps of integers.
+ALONE = 48
 #: Most contingency cells that the driver takes for one network; beyond it the costliest edges are dropped.
 MAX_CELLS = 4_000_000
 
@@ -368,6 +371,8 @@ class CharModel:
     def __init__(self, order: int, contexts: np.ndarray, masses: Masses):
         self.order, self.contexts, self.masses = order, contexts, masses
         self.escape = 0x110000
+        self.places = {c: i for i, c in enumerate(contexts.tolist())}
+        self.made: dict = {}
 
     @classmethod
     def fit(cls, order: int, cells: list[tuple[int, int, int]]) -> CharModel:
@@ -393,6 +398,53 @@ class CharModel:
     def next(self, context: np.ndarray, char: np.ndarray) -> np.ndarray:
         return char if self.order == 1 else (context % (1 << 21)) << 21 | char if self.order == 2 else np.zeros_like(char)
 
+    def next_one(self, context: int, char: int) -> int:
+        return char if self.order == 1 else (context % (1 << 21)) << 21 | char if self.order == 2 else 0
+
+    def tables(self, context: int) -> tuple[int, dict[int, tuple[int, int]], list[int], list[int]]:
+        """A context's group with its masses by symbol, its lows and its symbols, kept once made."""
+        group = self.places.get(context, 0)
+        if group not in self.made:
+            a, b = int(self.masses.first[group]), int(self.masses.first[group + 1])
+            symbol, low, mass = (x[a:b].tolist() for x in (self.masses.symbol, self.masses.low, self.masses.mass))
+            self.made[group] = (group, {s: (c, c + m) for s, c, m in zip(symbol, low, mass, strict=True)}, low, symbol)
+        return self.made[group]
+
+    def encode_one(self, enc: RowEncoder, chars: list[int], context: int) -> None:
+        for char in chars:
+            group, table, _, _ = self.tables(context)
+            if char not in table and group:
+                enc.put(*table[self.escape])
+                group, table = 0, self.tables(-1)[1]
+            if char in table:
+                enc.put(*table[char])
+            else:
+                enc.put(*table[self.escape])
+                enc.put_uniform(char, 21)
+            context = self.next_one(context, char)
+        enc.close()
+
+    def decode_one(self, dec: RowDecoder, count: int, context: int) -> list[int]:
+        def symbol(table: dict, lows: list[int], symbols: list[int]) -> int:
+            at = bisect.bisect_right(lows, dec.position()) - 1
+            for _ in range(2):
+                at = min(max(at + dec.holds(*table[symbols[at]]), 0), len(symbols) - 1)
+            dec.take(*table[symbols[at]])
+            return symbols[at]
+
+        out = []
+        for _ in range(count):
+            group, *own = self.tables(context)
+            char = symbol(*own)
+            if char == self.escape and group:
+                char = symbol(*self.tables(-1)[1:])
+            if char == self.escape:
+                char = dec.take_uniform(21)
+            out.append(char)
+            context = self.next_one(context, char)
+        dec.close()
+        return out
+
     def encode(self, enc: Encoder, values: np.ndarray, rows: np.ndarray) -> None:
         texts = [np.frombuffer(values[i].encode("utf-32-le", "surrogatepass"), "<u4").astype(np.int64) for i in rows]
         size = np.array([len(t) for t in texts], np.int64)
@@ -405,6 +457,10 @@ class CharModel:
         context = np.zeros(len(rows), np.int64)
         for k in range(int(size.max()) if len(size) else 0):
             live = np.flatnonzero(size > k)
+            if len(live) < ALONE:
+                for i in live.tolist():
+                    self.encode_one(RowEncoder(enc, int(rows[i])), flat[start[i] + k: start[i] + size[i]].tolist(), int(context[i]))
+                break
             char = flat[start[live] + k]
             group = self.group(context[live])
             entry = self.masses.find(group, char)
@@ -432,6 +488,10 @@ class CharModel:
         context = np.zeros(len(rows), np.int64)
         for k in range(int(size.max()) if len(size) else 0):
             live = np.flatnonzero(size > k)
+            if len(live) < ALONE:
+                for i in live.tolist():
+                    flat[start[i] + k: start[i] + size[i]] = self.decode_one(RowDecoder(dec, int(rows[i])), int(size[i]) - k, int(context[i]))
+                break
             group = self.group(context[live])
             char = self.masses.symbol[self.masses.decode(dec, group, rows[live])]
             lost = np.flatnonzero(char == self.escape)
@@ -528,7 +588,8 @@ def fit_parameters(images: DataFrame, spec: TableSpec, structure: Structure, esc
 def fit_characters(images: DataFrame, name: str, order: int, sample: int) -> CharModel:
     """Counts of (context, character) over at most `sample` texts; rarer characters escape."""
     text = F.col(quoted(name))
-    chars = images.filter(text.isNotNull()).select(F.split(text, "").alias("c")).limit(sample)
+    # The smallest of a hash of the text, so the same texts whatever the files' layout; each task keeps its own smallest.
+    chars = images.filter(text.isNotNull()).select(text.alias("t"), F.xxhash64(text).alias("o")).orderBy("o", "t").limit(sample).select(F.split("t", "").alias("c"))
     at = lambda i, k: F.coalesce(F.get("c", i - k), F.lit(""))
     pairs = F.transform("c", lambda x, i: F.struct(x.alias("x"), F.concat(*[at(i, k) for k in range(order, 0, -1)]).alias("h") if order else F.lit("").alias("h")))
     counts = chars.select(F.explode(pairs).alias("p")).filter("p.x <> ''").groupBy("p.h", "p.x").agg(F.count(F.lit(1)).alias("n")).filter("n > 1").orderBy(F.desc("n")).limit(500_000).collect()

@@ -16,8 +16,11 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def scratch(spark: SparkSession) -> str:
-    """A new folder that executors share: under the configured checkpoint folder, or of this machine where none is set."""
+    """A new folder that executors share: under the configured checkpoint folder; where none is set, one of this machine
+    if it is all there is (a local master), else an error."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
+    if not root and not spark.sparkContext.master.startswith("local"):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     return f"{(root or tempfile.mkdtemp(prefix='relcodec-')).rstrip('/')}/archive-{uuid.uuid4().hex}"
 
 
@@ -67,10 +70,10 @@ def clustered100(spark: SparkSession, sf_dir: str) -> DataFrame:
     return base.withColumn("a", F.col("c").bitwiseXOR(F.when(F.pmod(mix(F.col("o_orderkey"), F.col("i")), F.lit(5)) == 0, F.lit(1)).otherwise(F.lit(0)).cast("long")))
 
 
-def markov(spark: SparkSession, sf_dir: str, keys: int = 300) -> DataFrame:
+def markov(spark: SparkSession, sf_dir: str) -> DataFrame:
     """key, pos, sym: chains over four symbols that mostly stay."""
     from pyspark.sql import Window as W
 
-    k = table(spark, sf_dir, "orders").filter(F.col("o_orderkey") < keys).select(F.col("o_orderkey").alias("key"), F.explode(F.sequence(F.lit(1), F.lit(1000))).alias("pos"))
+    k = table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("key"), F.explode(F.sequence(F.lit(1), F.lit(1000))).alias("pos"))
     step = F.when(F.col("pos") == 1, F.pmod(mix(F.col("key"), F.lit(1001)), F.lit(4))).otherwise(F.greatest(F.pmod(mix(F.col("key"), F.col("pos")), F.lit(9)) - 5, F.lit(0).cast("long")))
     return k.select("key", "pos", F.pmod(F.sum(step).over(W.partitionBy("key").orderBy("pos")), F.lit(4)).alias("sym"))
