@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from relcodec import codecs
-from relcodec.network import Network, Structure, domain_of, fit_parameters, learn_structure, symbols_of
+from relcodec.network import Network, Structure, domain_of, fit_parameters, image_values, learn_structure, symbols_of
 from relcodec.schema import TableSpec, infer_spec, quoted
 
 BLOCK_ROWS = 8192
@@ -76,7 +76,7 @@ def symbols_of_sample(rows: list, spec: TableSpec) -> tuple[dict[str, np.ndarray
     """Parent-side symbols of sample rows; the same resolution serves child and parent in the search."""
     out, domains = {}, {}
     for a in spec.attributes:
-        values = np.array([r[a.name] for r in rows] + [None], object)[:-1]
+        values = image_values(pa.array([r[a.name] for r in rows], pa.float64() if a.bitwise else pa.int64() if a.numeric else pa.string()), a)
         out[a.name] = np.maximum(symbols_of(values, a, True), 0)
         domains[a.name] = domain_of(a, True)
     return out, domains
@@ -122,7 +122,7 @@ def encode(images: DataFrame, network: Network, options: Options = Options()) ->
 
         def flush(table: pa.Table) -> pa.RecordBatch:
             nonlocal made
-            columns = {n: column_values(table.column(n), net.spec[n].numeric) for n in names}
+            columns = {n: image_values(table.column(n), net.spec[n]) for n in names}
             row = pack(net, columns, table.num_rows, delta)
             zone = [(z, {"lo": min((v for v in columns[z] if v is not None), default=None), "hi": max((v for v in columns[z] if v is not None), default=None)}) for z in zones]
             out = pa.RecordBatch.from_pydict({"block_id": [(partition << 32) + made], "nrows": [table.num_rows], "nbits": [row[0]], "payload": [row[1]], "offsets": [row[2]], "zone": [zone], "delta": [delta]}, schema=BLOCK_ARROW)
@@ -149,12 +149,6 @@ BLOCK_ARROW = pa.schema([("block_id", pa.int64()), ("nrows", pa.int32()), ("nbit
                          ("zone", pa.map_(pa.string(), pa.struct([("lo", pa.int64()), ("hi", pa.int64())]))), ("delta", pa.bool_())])
 
 
-def column_values(column: pa.ChunkedArray, numeric: bool) -> np.ndarray:
-    if numeric and column.null_count == 0:
-        return column.to_numpy().astype(np.int64)
-    return np.array(column.to_pylist() + [None], object)[:-1]
-
-
 def pack(net: Network, columns: dict[str, np.ndarray], rows: int, delta: bool) -> tuple[int, bytes, bytes]:
     """(bits, payload, offsets) of one block."""
     bits, sizes = net.encode(columns, rows)
@@ -240,7 +234,14 @@ def unpack(net: Network, payload: bytes, offsets: bytes, rows: int, nbits: int,
 
 
 def to_arrow(columns: dict[str, np.ndarray], spec: TableSpec, names: list[str]) -> pa.RecordBatch:
-    return pa.RecordBatch.from_arrays([pa.array([None if v is None else int(v) for v in columns[n]] if spec[n].numeric else columns[n].tolist(), pa.int64() if spec[n].numeric else pa.string()) for n in names], names=names)
+    def column(n: str) -> pa.Array:
+        if not spec[n].numeric:
+            return pa.array(columns[n].tolist(), pa.string())
+        null = np.array([v is None for v in columns[n]], bool)
+        whole = np.where(null, 0, columns[n]).astype(np.int64)
+        return pa.array(spec[n].doubles_of(whole) if spec[n].bitwise else whole, mask=null)
+
+    return pa.RecordBatch.from_arrays([column(n) for n in names], names=names)
 
 
 def decode(blocks: DataFrame, network: Network, names: list[str] | None = None) -> DataFrame:

@@ -11,10 +11,12 @@ import bisect
 import itertools
 import json
 import math
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass, field
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -27,6 +29,8 @@ PARENT_BITS = 5
 ALONE = 48
 #: Most contingency cells that the driver takes for one network; beyond it the costliest edges are dropped.
 MAX_CELLS = 4_000_000
+#: A task hands its counts on once it holds this many.
+FLUSH_CELLS = 1_000_000
 
 
 # ---------------------------------------------------------------- structure
@@ -195,19 +199,38 @@ def symbol_column(a: Attribute, as_parent: bool = False) -> Column:
         return F.when(c.isNull(), None).otherwise(F.length(F.bin(F.length(c).cast("long"))).cast("string"))
     if not a.numeric:
         return c
-    return F.shiftright(c, max(0, a.depth - (PARENT_BITS if as_parent else CELL_BITS))).cast("string")
+    return F.shiftright(a.leaf(c), max(0, a.depth - (PARENT_BITS if as_parent else CELL_BITS))).cast("string")
 
 
-def symbols_of(values: np.ndarray, a: Attribute, as_parent: bool = False) -> np.ndarray:
-    """Symbol numbers of image values (object or int arrays) in the coder; -1 for a value outside the domain."""
+def image_values(column: pa.ChunkedArray | pa.Array, a: Attribute) -> np.ndarray | pa.Array:
+    """An image column in the coder's form: categorical values stay in Arrow, numbers are leaf numbers (objects where some
+    are NULL), texts objects."""
+    column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
     if a.kind == "categorical":
-        place = {v: i for i, v in enumerate(a.dictionary)}
-        return np.fromiter((place.get(v, -1) for v in values), np.int64, len(values))
-    null = np.array([v is None for v in values]) if values.dtype == object else np.zeros(len(values), bool)
+        return column
+    if not a.numeric:
+        return np.array(column.to_pylist() + [None], object)[:-1]
+    some = column.is_valid().to_numpy(zero_copy_only=False)
+    whole = pc.fill_null(column, 0).to_numpy(zero_copy_only=False)
+    whole = a.leaves_of(whole) if a.bitwise else whole.astype(np.int64)
+    if some.all():
+        return whole
+    out = whole.astype(object)
+    out[~some] = None
+    return out
+
+
+def symbols_of(values: np.ndarray | pa.Array, a: Attribute, as_parent: bool = False) -> np.ndarray:
+    """Symbol numbers of image values in the coder; -1 for a value outside the domain."""
+    if a.kind == "categorical":
+        column = values if isinstance(values, pa.Array) else pa.array(values.tolist(), pa.string())
+        return pc.fill_null(pc.index_in(column, pa.array(a.dictionary, pa.string())), -1).to_numpy(zero_copy_only=False).astype(np.int64)
+    null = np.array([v is None for v in values], bool) if values.dtype == object else np.zeros(len(values), bool)
     if a.kind == "string":
         return np.fromiter((-1 if v is None else len(v).bit_length() or 1 for v in values), np.int64, len(values)) + 1
     whole = np.array([0 if v is None else v for v in values], np.int64) if values.dtype == object else values.astype(np.int64)
-    return np.where(null, 0, (whole >> max(0, a.depth - (PARENT_BITS if as_parent else CELL_BITS))) + 1)
+    symbol = np.where(null, 0, (whole >> max(0, a.depth - (PARENT_BITS if as_parent else CELL_BITS))) + 1)
+    return np.where(~null & ((whole < 0) | (whole >= a.leaves)), -1, symbol)
 
 
 def domain_of(a: Attribute, as_parent: bool = False) -> int:
@@ -218,13 +241,6 @@ def domain_of(a: Attribute, as_parent: bool = False) -> int:
     return (1 << min(a.depth, PARENT_BITS if as_parent else CELL_BITS)) + 1
 
 
-def symbol_number(text: str | None, a: Attribute, place: dict) -> int:
-    """Symbol of a value of symbol_column."""
-    if a.kind == "categorical":
-        return place[text]
-    return 0 if text is None else int(text) + 1
-
-
 def contingency(images: DataFrame, spec: TableSpec, structure: Structure) -> DataFrame:
     """node, config (symbols of the parents), value, cnt for all nodes in one scan and one shuffle of partial counts."""
     rows = F.array(*[F.struct(F.lit(n).alias("node"), F.array(*[symbol_column(spec[p], True) for p in ps]).cast("array<string>").alias("config"), symbol_column(spec[n]).alias("value"))
@@ -235,6 +251,53 @@ def contingency(images: DataFrame, spec: TableSpec, structure: Structure) -> Dat
 
 # ---------------------------------------------------------------- fitted nodes
 
+def config_keys(parents: tuple[Attribute, ...], known: dict[str, np.ndarray], rows: int) -> np.ndarray:
+    """One number per configuration of parent symbols; -1 where a parent is outside its domain."""
+    key, bad = np.zeros(rows, np.int64), np.zeros(rows, bool)
+    for p in parents:
+        bad |= known[p.name] < 0
+        key = key * domain_of(p, True) + np.maximum(known[p.name], 0)
+    return np.where(bad, -1, key)
+
+
+def cells(images: DataFrame, spec: TableSpec, structure: Structure) -> DataFrame:
+    """node (place in the coding order), key, symbol, cnt: partial counts per task, added up in one shuffle."""
+    schema = pa.schema([("node", pa.int32()), ("key", pa.int64()), ("symbol", pa.int64()), ("cnt", pa.int64())])
+    plan = [(spec[n], tuple(spec[p] for p in ps)) for n, ps in structure.parents.items()]
+    needed = {p.name for _, ps in plan for p in ps}
+
+    def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[list[tuple[np.ndarray, np.ndarray, np.ndarray]]] = [[] for _ in plan]
+        size = 0
+
+        def merged() -> Iterator[pa.RecordBatch]:
+            for i, parts in enumerate(held):
+                if parts:
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(sum(len(p[0]) for p in parts), i, np.int32)), *(pa.array(np.concatenate([p[k] for p in parts])) for k in range(3))], schema=schema)
+                parts.clear()
+
+        for batch in batches:
+            values = {a.name: image_values(batch.column(a.name), a) for a, _ in plan}
+            known = {n: symbols_of(values[n], spec[n], True) for n in needed}
+            for i, (a, ps) in enumerate(plan):
+                s = symbols_of(values[a.name], a)
+                key = config_keys(ps, known, batch.num_rows)
+                by = np.lexsort((s, key))
+                key, s = key[by], s[by]
+                new = np.ones(len(s), bool)
+                new[1:] = (key[1:] != key[:-1]) | (s[1:] != s[:-1])
+                starts = np.flatnonzero(new)
+                n = np.diff(np.append(starts, len(s)))
+                held[i].append((key[starts], s[starts], n.astype(np.int64)))
+                size += len(n)
+            if size > FLUSH_CELLS:
+                yield from merged()
+                size = 0
+        yield from merged()
+
+    return images.mapInArrow(counted, "node int, key long, symbol long, cnt long").groupBy("node", "key", "symbol").agg(F.sum("cnt").alias("cnt"))
+
+
 @dataclass
 class Node:
     """One attribute's model: masses per configuration (configuration 0 is the marginal, for configurations never seen).
@@ -253,43 +316,31 @@ class Node:
     escape: int = field(default=0)
 
     @classmethod
-    def fit(cls, a: Attribute, parents: tuple[Attribute, ...], cells: list[tuple[list[str | None], str | None, int]], escape: bool = True) -> Node:
-        places = {x.name: {v: i for i, v in enumerate(x.dictionary)} for x in (a, *parents)}
+    def fit(cls, a: Attribute, parents: tuple[Attribute, ...], keys: np.ndarray, symbols: np.ndarray, counts: np.ndarray, escape: bool = True) -> Node:
+        """keys, symbols, counts: how often a symbol occurred in a configuration of the parents (`config_keys`)."""
         size = domain_of(a)
-        table: dict[int, dict[int, int]] = {0: {}}
-        for config, value, n in cells:
-            key = 0
-            for p, c in zip(parents, config, strict=True):
-                key = key * domain_of(p, True) + symbol_number(c, p, places[p.name])
-            s = symbol_number(value, a, places[a.name])
-            if parents:
-                own = table.setdefault(key + 1, {})
-                own[s] = own.get(s, 0) + n
-            table[0][s] = table[0].get(s, 0) + n
-        first, symbols, lows, masses = [0], [], [], []
-        configs = np.array(sorted(table), np.int64)
-        for k in configs.tolist():
-            row = sorted(table[k].items())
-            s = np.array([x for x, _ in row] + ([size] if escape else []), np.int64)
-            # A distribution with more symbols than masses keeps the frequent ones; the rest escape.
-            n = np.array([x for _, x in row] + ([0] if escape else []), np.int64)
-            if len(s) == 0:
-                s, n = np.array([size]), np.array([1])
+        seen, at = np.unique(symbols, return_inverse=True)
+        parts = [(0, seen, np.bincount(at, counts, len(seen)).astype(np.int64))]
+        if parents:
+            order = np.lexsort((symbols, keys))
+            keys, symbols, counts = keys[order], symbols[order], counts[order]
+            starts = np.flatnonzero(np.diff(keys, prepend=-1))
+            parts += [(int(keys[i]) + 1, symbols[i:j], counts[i:j]) for i, j in zip(starts, np.append(starts[1:], len(keys)), strict=True)]
+        first, entries, lows, masses = [0], [], [], []
+        for _, s, n in parts:
+            s, n = (np.append(s, size), np.append(n, 0)) if escape or not len(s) else (s, n)
             m = masses_of(n)
             first.append(first[-1] + len(s))
-            symbols.append(s), masses.append(m), lows.append(np.cumsum(m) - m)
-        out = cls(a, parents, configs, Masses(np.array(first), np.concatenate(symbols), np.concatenate(lows), np.concatenate(masses)), escape=size)
-        out.bits = model_bits(len(out.masses.symbol), len(configs), size)
+            entries.append(s), masses.append(m), lows.append(np.cumsum(m) - m)
+        out = cls(a, parents, np.array([k for k, _, _ in parts], np.int64), Masses(np.array(first), np.concatenate(entries), np.concatenate(lows), np.concatenate(masses)), escape=size)
+        out.bits = model_bits(len(out.masses.symbol), len(out.configs), size)
         return out
 
     def group(self, known: dict[str, np.ndarray], rows: int) -> np.ndarray:
         if not self.parents:
             return np.zeros(rows, np.int64)
-        key, bad = np.zeros(rows, np.int64), np.zeros(rows, bool)
-        for p in self.parents:
-            s = known[p.name]
-            bad |= s < 0
-            key = key * domain_of(p, True) + np.maximum(s, 0)
+        key = config_keys(self.parents, known, rows)
+        bad = key < 0
         at = np.minimum(np.searchsorted(self.configs, key + 1), len(self.configs) - 1)
         return np.where((self.configs[at] == key + 1) & ~bad, at, 0)
 
@@ -561,23 +612,27 @@ class Network:
 
 def fit_parameters(images: DataFrame, spec: TableSpec, structure: Structure, escape: bool = True, string_order: int = 1, string_sample: int = 2000, max_cells: int = MAX_CELLS) -> Network:
     """Masses of all nodes from one scan of the images; character models from a bounded sample of texts."""
-    cells = contingency(images, spec, structure).cache()
+    counts = cells(images, spec, structure).persist()
     try:
-        sizes = {r["node"]: r["n"] for r in cells.groupBy("node").agg(F.count(F.lit(1)).alias("n")).collect()}
-        while sum(sizes.values()) > max_cells:
-            # The model budget: the node with the most cells loses its parents.
-            worst = max((n for n, p in structure.parents.items() if p), key=lambda n: sizes.get(n, 0), default=None)
-            if worst is None:
+        order = structure.coding_order
+        sizes = {order[r["node"]]: r["n"] for r in counts.groupBy("node").agg(F.count(F.lit(1)).alias("n")).collect()}
+        total, dropped = sum(sizes.values()), set()
+        # The model budget: the nodes with the most cells lose their parents, all in one go; alone a node has a bounded domain.
+        for n in sorted((n for n, p in structure.parents.items() if p), key=lambda n: -sizes.get(n, 0)):
+            if total <= max_cells:
                 break
-            return fit_parameters(images, spec, Structure({c: () if c == worst else p for c, p in structure.parents.items()}), escape, string_order, string_sample, max_cells)
-        by_node: dict[str, list] = {}
-        for r in cells.collect():
-            by_node.setdefault(r["node"], []).append((r["config"], r["value"], r["cnt"]))
+            dropped.add(n)
+            total -= sizes.get(n, 0) - domain_of(spec[n])
+        if dropped:
+            return fit_parameters(images, spec, Structure({c: () if c in dropped else p for c, p in structure.parents.items()}), escape, string_order, string_sample, max_cells)
+        found = counts.toArrow()
     finally:
-        cells.unpersist()
+        counts.unpersist()
+    node, key, symbol, cnt = (found.column(c).to_numpy() for c in ("node", "key", "symbol", "cnt"))
+    by_node = {n: (key[node == i], symbol[node == i], cnt[node == i]) for i, n in enumerate(order)}
     nodes = []
     for n, ps in structure.parents.items():
-        node = Node.fit(spec[n], tuple(spec[p] for p in ps), by_node.get(n, []), escape)
+        node = Node.fit(spec[n], tuple(spec[p] for p in ps), *by_node[n], escape)
         if spec[n].kind == "string":
             node.chars = fit_characters(images, n, string_order, string_sample)
             node.bits += model_bits(len(node.chars.masses.symbol), len(node.chars.contexts), 1 << 21)

@@ -12,6 +12,7 @@ import struct
 from dataclasses import dataclass, field
 from decimal import Decimal
 
+import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
@@ -44,11 +45,21 @@ class Attribute:
     def numeric(self) -> bool:
         return self.kind in ("integer", "decimal", "timestamp", "date", "real")
 
+    @property
+    def measured(self) -> str | None:
+        """The kind under a tolerance, of what can have one: also doubles whose exact images are too wide."""
+        return self.kind if self.numeric else "real" if self.kind == "string" and self.dtype in ("double", "float") and self.hi > self.lo else None
+
     @property
     def grid(self) -> bool:
         """Whether leaves are cells of equal width over doubles; else they are runs of integer images."""
         return self.kind == "real" and self.tolerance > 0
 
+    @property
+    def bitwise(self) -> bool:
+        """Whether the image is the number itself, whose bits the coder reads: doubles without a tolerance."""
+        return self.kind == "real" and not self.grid
+
     @property
     def step(self) -> int:
         """Integer images per leaf: the widest run whose middle is within the tolerance of all of it."""
@@ -80,8 +91,6 @@ class Attribute:
             return F.expr(f"{micros(self.name, self.dtype)} div {self.unit}L")
         if self.kind == "date":
             return F.unix_date(c).cast("long")
-        if self.kind == "real":
-            return ordered_bits(c) if self.unit == 1 else F.shiftright(ordered_bits(c), self.unit.bit_length() - 1)
         return c.cast("long")
 
     def image(self) -> Column:
@@ -93,6 +102,8 @@ class Attribute:
         if self.grid:
             x = F.ceil((c.cast("double") - F.lit(float(self.lo))) / (2 * self.tolerance)).cast("long") - 1
             return F.least(F.greatest(x, F.lit(0).cast("long")), F.lit(self.leaves - 1).cast("long"))
+        if self.bitwise:
+            return c.cast("double")
         d = self.integer_image(c) - F.lit(self.image_lo).cast("long")
         return d if self.step == 1 else F.call_function("div", d, F.lit(self.step).cast("long"))
 
@@ -100,6 +111,8 @@ class Attribute:
         c = F.col(quoted(self.name))
         if self.kind in ("categorical", "string"):
             return F.unbase64(c) if self.dtype == "binary" else F.lit(None).cast("void") if self.dtype == "void" else c.cast(self.dtype)
+        if self.bitwise:
+            return c.cast(self.dtype)
         if self.grid:
             return (F.lit(float(self.lo)) + (c + 0.5) * (2 * self.tolerance)).cast(self.dtype)
         v = c * self.step + F.lit(self.image_lo).cast("long")
@@ -115,11 +128,24 @@ class Attribute:
             return F.timestamp_micros(v * self.unit).cast(self.dtype)
         if self.kind == "date":
             return F.date_from_unix_date(v.cast("int"))
-        if self.kind == "real":
-            low = self.unit.bit_length() - 1
-            return from_ordered_bits(v if low == 0 else F.when(v < 0, -F.shiftleft(-v - 1, low) - 1).otherwise(F.shiftleft(v, low))).cast(self.dtype)
         return v.cast(self.dtype)
 
+    def leaf(self, c: Column) -> Column:
+        """The leaf number of an image column."""
+        return F.shiftright(ordered_bits(c), self.unit.bit_length() - 1) - F.lit(self.image_lo).cast("long") if self.bitwise else c
+
+    def leaves_of(self, x: np.ndarray) -> np.ndarray:
+        """Leaf numbers of doubles: their bits in an order-keeping form, counted from the smallest."""
+        bits = np.where(x == 0, 0.0, x).astype(np.float64).view(np.int64)
+        ordered = np.where(bits < 0, -(bits & np.int64(2**63 - 1)) - 1, bits)
+        return (ordered >> (self.unit.bit_length() - 1)) - self.image_lo
+
+    def doubles_of(self, leaf: np.ndarray) -> np.ndarray:
+        """The inverse of leaves_of."""
+        v, low = leaf + self.image_lo, self.unit.bit_length() - 1
+        magnitude = np.where(v < 0, -v - 1, v) << low
+        return np.where(v < 0, magnitude | np.int64(-(2**63)), magnitude).view(np.float64)
+
 
 def quoted(name: str) -> str:
     return "`" + name.replace("`", "``") + "`"
@@ -151,14 +177,6 @@ def ordered_bits(c: Column) -> Column:
     return F.when((d < 0) & (magnitude > 0), -magnitude - 1).otherwise(magnitude)
 
 
-def from_ordered_bits(c: Column) -> Column:
-    m = F.when(c < 0, -c - 1).otherwise(c)
-    e = F.shiftright(m, 52)
-    f = m.bitwiseAND(F.lit((1 << 52) - 1).cast("long"))
-    value = F.when(e == 0, F.lit(0.0)).otherwise((1 + f / float(1 << 52)) * F.pow(F.lit(2.0), (e - 1023).cast("double")))
-    return F.when(c < 0, -value).otherwise(value)
-
-
 @dataclass(frozen=True)
 class TableSpec:
     attributes: tuple[Attribute, ...]
@@ -172,13 +190,13 @@ class TableSpec:
 
     def with_tolerance(self, tolerance: float, names: list[str] | None = None) -> TableSpec:
         """Numbers (or the named ones) within `tolerance`."""
-        return TableSpec(tuple(dataclasses.replace(a, tolerance=tolerance) if a.numeric and (names is None or a.name in names) else a for a in self.attributes))
+        return TableSpec(tuple(dataclasses.replace(a, kind=a.measured, tolerance=tolerance) if a.measured and (names is None or a.name in names) else a for a in self.attributes))
 
     def with_tolerance_pct(self, percent: float, names: list[str] | None = None) -> TableSpec:
         """Numbers within a share of their range."""
         def span(a: Attribute) -> float:
             return (a.hi - a.lo) / {"decimal": 10.0**a.scale}.get(a.kind, 1.0) * (a.unit if a.kind == "timestamp" else 1)
-        return TableSpec(tuple(dataclasses.replace(a, tolerance=span(a) * percent / 100) if a.numeric and (names is None or a.name in names) else a for a in self.attributes))
+        return TableSpec(tuple(dataclasses.replace(a, kind=a.measured, tolerance=span(a) * percent / 100) if a.measured and (names is None or a.name in names) else a for a in self.attributes))
 
     def images(self, df: DataFrame) -> DataFrame:
         return df.select(*[a.image().alias(a.name) for a in self.attributes])
@@ -191,7 +209,7 @@ class TableSpec:
         return self.restored(self.images(df))
 
     def image_schema(self, names: list[str] | None = None) -> str:
-        return ", ".join(f"{quoted(a.name)} {'long' if a.numeric else 'string'}" for a in self.attributes if names is None or a.name in names)
+        return ", ".join(f"{quoted(a.name)} {'double' if a.bitwise else 'long' if a.numeric else 'string'}" for a in self.attributes if names is None or a.name in names)
 
     def to_json(self) -> str:
         return json.dumps([dataclasses.asdict(a) for a in self.attributes])
@@ -209,7 +227,7 @@ def spec_of(f: T.StructField, r, base: dict) -> Attribute:
         if scale is not None:
             return Attribute(kind="decimal", scale=scale, lo=round(r["lo"] * 10**scale), hi=round(r["hi"] * 10**scale), **base)
         real = Attribute(kind="real", lo=r["lo"], hi=r["hi"], unit=FLOAT_UNIT if r["single"] else 1, **base)
-        return real if real.image_hi - real.image_lo < WIDEST else text
+        return real if real.image_hi - real.image_lo < 2**63 - 1 else dataclasses.replace(text, lo=r["lo"], hi=r["hi"])
     if isinstance(f.dataType, T.DecimalType) and f.dataType.precision <= 18:
         return Attribute(kind="decimal", scale=f.dataType.scale, lo=int(r["lo"].scaleb(f.dataType.scale)), hi=int(r["hi"].scaleb(f.dataType.scale)), **base)
     if isinstance(f.dataType, (T.TimestampType, T.TimestampNTZType)):
