@@ -22,6 +22,7 @@ from pyspark.sql import functions as F
 
 from relcodec.coder import MASS, Decoder, Encoder, Masses, RowDecoder, RowEncoder, masses_of, put_uniform, take_uniform
 from relcodec.schema import Attribute, TableSpec, quoted
+from relcodec.usertypes import WalkCoder
 
 CELL_BITS = 10
 PARENT_BITS = 5
@@ -197,6 +198,8 @@ def symbol_column(a: Attribute, as_parent: bool = False) -> Column:
     if a.kind == "string":
         # A text's view as a predictor is the bit length of its length.
         return F.when(c.isNull(), None).otherwise(F.length(F.bin(F.length(c).cast("long"))).cast("string"))
+    if a.kind == "user":
+        return c.isNotNull().cast("int").cast("string")
     if not a.numeric:
         return c
     return F.shiftright(a.leaf(c), max(0, a.depth - (PARENT_BITS if as_parent else CELL_BITS))).cast("string")
@@ -226,6 +229,8 @@ def symbols_of(values: np.ndarray | pa.Array, a: Attribute, as_parent: bool = Fa
         column = values if isinstance(values, pa.Array) else pa.array(values.tolist(), pa.string())
         return pc.fill_null(pc.index_in(column, pa.array(a.dictionary, pa.string())), -1).to_numpy(zero_copy_only=False).astype(np.int64)
     null = np.array([v is None for v in values], bool) if values.dtype == object else np.zeros(len(values), bool)
+    if a.kind == "user":
+        return (~null).astype(np.int64)
     if a.kind == "string":
         return np.fromiter((-1 if v is None else len(v).bit_length() or 1 for v in values), np.int64, len(values)) + 1
     whole = np.array([0 if v is None else v for v in values], np.int64) if values.dtype == object else values.astype(np.int64)
@@ -236,8 +241,8 @@ def symbols_of(values: np.ndarray | pa.Array, a: Attribute, as_parent: bool = Fa
 def domain_of(a: Attribute, as_parent: bool = False) -> int:
     if a.kind == "categorical":
         return max(1, len(a.dictionary))
-    if a.kind == "string":
-        return 64
+    if a.kind in ("string", "user"):
+        return 64 if a.kind == "string" else 2
     return (1 << min(a.depth, PARENT_BITS if as_parent else CELL_BITS)) + 1
 
 
@@ -311,7 +316,7 @@ class Node:
     parents: tuple[Attribute, ...]
     configs: np.ndarray
     masses: Masses
-    chars: CharModel | None = None
+    chars: CharModel | WalkCoder | None = None
     bits: float = 0.0
     escape: int = field(default=0)
 
@@ -373,7 +378,7 @@ class Node:
             if low:
                 v = np.array([values[i] for i in some], np.int64)
                 put_uniform(enc, v & ((1 << low) - 1), low, some)
-        elif self.attribute.kind == "string":
+        elif self.attribute.kind in ("string", "user"):
             self.chars.encode(enc, values, np.flatnonzero(s > 0))
 
     def decode(self, dec: Decoder, known: dict[str, np.ndarray]) -> np.ndarray:
@@ -412,7 +417,7 @@ class Node:
         first, mass = np.array(r["first"]), np.array(r["mass"], np.int64)
         total = np.cumsum(mass) - mass
         low = total - np.repeat(total[first[:-1]], np.diff(first))
-        chars = CharModel.from_record(r["chars"]) if r["chars"] else None
+        chars = (WalkCoder if "model" in r["chars"] else CharModel).from_record(r["chars"]) if r["chars"] else None
         return cls(spec[r["name"]], tuple(spec[p] for p in r["parents"]), np.array(r["configs"], np.int64), Masses(first, np.array(r["symbol"], np.int64), low, mass), chars, r["bits"], r["escape"])
 
 
@@ -633,6 +638,9 @@ def fit_parameters(images: DataFrame, spec: TableSpec, structure: Structure, esc
     nodes = []
     for n, ps in structure.parents.items():
         node = Node.fit(spec[n], tuple(spec[p] for p in ps), *by_node[n], escape)
+        if spec[n].kind == "user":
+            node.chars = WalkCoder.fit(images, F.col(quoted(n)), spec[n].model)
+            node.bits += node.chars.bits
         if spec[n].kind == "string":
             node.chars = fit_characters(images, n, string_order, string_sample)
             node.bits += model_bits(len(node.chars.masses.symbol), len(node.chars.contexts), 1 << 21)

@@ -28,7 +28,8 @@ FLOAT_UNIT = 1 << 29
 @dataclass(frozen=True)
 class Attribute:
     """kind: categorical, integer, decimal (scale), timestamp (unit in microseconds), date, real (unit: what all bit
-    patterns are multiples of) or string (texts, and values of any type that no number image holds exactly)."""
+    patterns are multiples of), string (texts, and values of any type that no number image holds exactly) or user (with
+    the class of its model)."""
 
     name: str
     kind: str
@@ -40,6 +41,7 @@ class Attribute:
     tolerance: float = 0.0
     nullable: bool = False
     dictionary: tuple[str | None, ...] = field(default=())
+    model: str = ""
 
     @property
     def numeric(self) -> bool:
@@ -97,7 +99,7 @@ class Attribute:
         c = F.col(quoted(self.name))
         if self.kind == "categorical":
             return c.cast("string")
-        if self.kind == "string":
+        if self.kind in ("string", "user"):
             return F.base64(c) if self.dtype == "binary" else c.cast("string")
         if self.grid:
             x = F.ceil((c.cast("double") - F.lit(float(self.lo))) / (2 * self.tolerance)).cast("long") - 1
@@ -109,7 +111,7 @@ class Attribute:
 
     def restore(self) -> Column:
         c = F.col(quoted(self.name))
-        if self.kind in ("categorical", "string"):
+        if self.kind in ("categorical", "string", "user"):
             return F.unbase64(c) if self.dtype == "binary" else F.lit(None).cast("void") if self.dtype == "void" else c.cast(self.dtype)
         if self.bitwise:
             return c.cast(self.dtype)
@@ -198,6 +200,11 @@ class TableSpec:
             return (a.hi - a.lo) / {"decimal": 10.0**a.scale}.get(a.kind, 1.0) * (a.unit if a.kind == "timestamp" else 1)
         return TableSpec(tuple(dataclasses.replace(a, kind=a.measured, tolerance=span(a) * percent / 100) if a.measured and (names is None or a.name in names) else a for a in self.attributes))
 
+    def with_model(self, name: str, model: type) -> TableSpec:
+        """A column under a user type (`usertypes.Model`)."""
+        named = f"{model.__module__}:{model.__qualname__}"
+        return TableSpec(tuple(Attribute(a.name, "user", a.dtype, nullable=a.nullable, model=named) if a.name == name else a for a in self.attributes))
+
     def images(self, df: DataFrame) -> DataFrame:
         return df.select(*[a.image().alias(a.name) for a in self.attributes])
 
