@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from relcodec import codecs
-from relcodec.network import Network, Structure, domain_of, fit_parameters, image_values, learn_structure, symbols_of
+from relcodec.network import Network, Structure, domain_of, fit_parameters, image_values, learn_structure, symbols_of, with_key_parents
 from relcodec.schema import TableSpec, infer_spec, quoted
 
 BLOCK_ROWS = 8192
@@ -47,6 +47,7 @@ class Options:
     string_order: int = 1
     tolerance_pct: float | None = None
     zones: tuple[str, ...] = ()
+    keys: bool = True  # look for keys whose values are too many for the sample, and try them on all rows
 
 
 @dataclass
@@ -95,7 +96,8 @@ def learn(images: DataFrame, spec: TableSpec, options: Options) -> Structure:
         return Structure.empty(spec.names)
     symbols, domains = symbols_of_sample(rows, spec)
     scale = max(1.0, images.count() / len(rows)) if options.score == "mdl_scaled" else 1.0
-    return learn_structure(symbols, domains, options.max_parents, options.score, scale)
+    structure = learn_structure(symbols, domains, options.max_parents, options.score, scale)
+    return with_key_parents(images, spec, structure, symbols, domains) if options.keys else structure
 
 
 def fit(df: DataFrame, options: Options = Options(), spec: TableSpec | None = None) -> tuple[DataFrame, Network, codecs.Expansion]:

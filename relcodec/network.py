@@ -76,6 +76,17 @@ class Structure:
     def without(self, child: str, parent: str) -> Structure:
         return Structure({c: tuple(p for p in ps if (c, p) != (child, parent)) for c, ps in self.parents.items()})
 
+    def depends_on(self, name: str) -> set[str]:
+        """All that an attribute depends on, whatever the order of `parents`."""
+        seen: set[str] = set()
+        todo = list(self.parents[name])
+        while todo:
+            n = todo.pop()
+            if n not in seen:
+                seen.add(n)
+                todo += self.parents[n]
+        return seen
+
     def ancestors(self, names: list[str]) -> list[str]:
         """The named attributes and all they depend on, in coding order."""
         need, todo = set(), list(names)
@@ -265,10 +276,10 @@ def config_keys(parents: tuple[Attribute, ...], known: dict[str, np.ndarray], ro
     return np.where(bad, -1, key)
 
 
-def cells(images: DataFrame, spec: TableSpec, structure: Structure) -> DataFrame:
-    """node (place in the coding order), key, symbol, cnt: partial counts per task, added up in one shuffle."""
+def cells(images: DataFrame, spec: TableSpec, families: list[tuple[str, tuple[str, ...]]]) -> DataFrame:
+    """node (place among the families (child, parents)), key, symbol, cnt: partial counts per task, added up in one shuffle."""
     schema = pa.schema([("node", pa.int32()), ("key", pa.int64()), ("symbol", pa.int64()), ("cnt", pa.int64())])
-    plan = [(spec[n], tuple(spec[p] for p in ps)) for n, ps in structure.parents.items()]
+    plan = [(spec[n], tuple(spec[p] for p in ps)) for n, ps in families]
     needed = {p.name for _, ps in plan for p in ps}
 
     def counted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -282,10 +293,11 @@ def cells(images: DataFrame, spec: TableSpec, structure: Structure) -> DataFrame
                 parts.clear()
 
         for batch in batches:
-            values = {a.name: image_values(batch.column(a.name), a) for a, _ in plan}
+            values = {n: image_values(batch.column(n), spec[n]) for n in {a.name for a, _ in plan} | needed}
             known = {n: symbols_of(values[n], spec[n], True) for n in needed}
+            own = {n: symbols_of(values[n], spec[n]) for n in {a.name for a, _ in plan}}
             for i, (a, ps) in enumerate(plan):
-                s = symbols_of(values[a.name], a)
+                s = own[a.name]
                 key = config_keys(ps, known, batch.num_rows)
                 by = np.lexsort((s, key))
                 key, s = key[by], s[by]
@@ -303,6 +315,73 @@ def cells(images: DataFrame, spec: TableSpec, structure: Structure) -> DataFrame
     return images.mapInArrow(counted, "node int, key long, symbol long, cnt long").groupBy("node", "key", "symbol").agg(F.sum("cnt").alias("cnt"))
 
 
+def family_bits(images: DataFrame, spec: TableSpec, families: list[tuple[str, tuple[str, ...]]]) -> list[float]:
+    """Objective of each family on all rows, as it would be coded: one scan for all of them."""
+    n = F.col("cnt").cast("double")
+    per = cells(images, spec, families).groupBy("node", "key").agg(F.count(F.lit(1)).alias("cells"), F.sum(n).alias("g"), F.sum(n * F.log2(n)).alias("s"))
+    rows = per.groupBy("node").agg(F.sum("cells").alias("cells"), F.count(F.lit(1)).alias("configs"), F.sum(F.col("g") * F.log2("g") - F.col("s")).alias("data")).collect()
+    found = {r["node"]: model_bits(r["cells"], r["configs"], domain_of(spec[families[r["node"]][0]])) + r["data"] for r in rows}
+    return [found.get(i, 0.0) for i in range(len(families))]
+
+
+def near_functions(symbols: dict[str, np.ndarray], domains: dict[str, int], most: int = 3) -> list[tuple[str, str]]:
+    """(parent, child) pairs of a sample in which the parent's repeated values (nearly) always have one value of the
+    child: what a small sample shows of a key and its attributes, though most values of the key occur once in it."""
+    out = []
+    for child, c in symbols.items():
+        if len(np.unique(c)) < 2:
+            continue
+        _, often = np.unique(c, return_counts=True)
+        found = []
+        for parent, p in symbols.items():
+            if parent == child:
+                continue
+            order = np.lexsort((c, p))
+            same = np.flatnonzero(p[order][1:] == p[order][:-1])
+            # By chance neighbours would agree as often as two rows do anywhere.
+            chance = float(((often / len(c)) ** 2).sum())
+            agree = float((c[order][same] == c[order][same + 1]).mean()) if len(same) >= 20 else 0.0
+            if agree > 0.9 and agree > chance + 0.05:
+                found.append((domains[parent], parent))
+        out += [(parent, child) for _, parent in sorted(found)[:most]]
+    return out
+
+
+def with_key_parents(images: DataFrame, spec: TableSpec, structure: Structure, symbols: dict[str, np.ndarray], domains: dict[str, int]) -> Structure:
+    """Keys before what they nearly determine, where that is shorter on all rows than the families found.
+
+    A key becomes the only parent of the attributes that gain by it: of those it does not depend on itself, or, as a
+    root, of all (then its children depend on nothing else and it on nothing, so there is no cycle). The change that
+    gains most goes first."""
+    pairs = [(p, c) for p, c in near_functions(symbols, domains) if spec[c].kind not in ("string", "user")]
+    if not pairs:
+        return structure
+    names, keys = sorted({x for pair in pairs for x in pair}), sorted({p for p, _ in pairs})
+    families = [(n, structure.parents[n]) for n in names] + [(k, ()) for k in keys] + [(c, (p,)) for p, c in pairs]
+    bits = family_bits(images, spec, families)
+    now = dict(zip(names, bits, strict=False))
+    price = dict(zip(families, bits, strict=True))
+    chosen = dict(structure.parents)
+    while True:
+        best = (0.0, "", [], False)
+        for k in keys:
+            children = [c for p, c in pairs if p == k and price[c, (k,)] < now[c]]
+            above = Structure(chosen).depends_on(k)
+            free = [c for c in children if c not in above]
+            for root, some in ((False, free), (True, children)):
+                gain = (now[k] - price[k, ()] if root else 0.0) + sum(now[c] - price[c, (k,)] for c in some)
+                if some and gain > best[0] + 1e-6:
+                    best = (gain, k, some, root)
+        _, key, children, root = best
+        if not children:
+            break
+        if root:
+            chosen[key], now[key] = (), price[key, ()]
+        for c in children:
+            chosen[c], now[c] = (key,), price[c, (key,)]
+    return Structure.from_edges(spec.names, [(p, c) for c, ps in chosen.items() for p in ps])
+
+
 @dataclass
 class Node:
     """One attribute's model: masses per configuration (configuration 0 is the marginal, for configurations never seen).
@@ -617,7 +696,7 @@ class Network:
 
 def fit_parameters(images: DataFrame, spec: TableSpec, structure: Structure, escape: bool = True, string_order: int = 1, string_sample: int = 2000, max_cells: int = MAX_CELLS) -> Network:
     """Masses of all nodes from one scan of the images; character models from a bounded sample of texts."""
-    counts = cells(images, spec, structure).persist()
+    counts = cells(images, spec, list(structure.parents.items())).persist()
     try:
         order = structure.coding_order
         sizes = {order[r["node"]]: r["n"] for r in counts.groupBy("node").agg(F.count(F.lit(1)).alias("n")).collect()}
