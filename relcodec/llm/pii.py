@@ -44,16 +44,21 @@ NEUTRAL_TITLES = "Dr|Prof|Professor|Доктор|доктор"
 _NAME_WORD = r"\p{Lu}[\p{L}'’-]*\p{L}"
 #: Kinds in the order they are tried, with their patterns.
 KINDS = {
-    "email": r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+",
+    "email": r"(?<![A-Za-z0-9._%+-])[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+",
     "secret": r'(?i:token|password|passwd|pwd|secret|api_?key|access_?key)\s*[=:]\s*"?[A-Za-z0-9_+/-]{8,}"?',
     "account": r"\b[A-Z]{2}[0-9]{2}[A-Z0-9]{10,30}\b",
     "phone": r"\+?[0-9]{1,3}[ .-]?\([0-9]{2,4}\)[ .-]?[0-9]{3,4}[ .-]?[0-9]{3,4}\b|\+[0-9]{1,3}(?:[ .-][0-9]{2,4}){2,5}\b|\b[0-9]{3}[.-][0-9]{3}[.-][0-9]{4}\b",
     "card": r"\b[0-9]{4}[ -][0-9]{4}[ -][0-9]{4}[ -][0-9]{4}\b|\b[0-9]{13,19}\b",
     "ssn": r"\b[0-9]{3}-[0-9]{2}-[0-9]{4}\b",
-    "ip": r"(?<![0-9.v])(?<!ersion )(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])(?:\.(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])){3}(?!\.?[0-9])",
-    "person": rf"(?<![\p{{L}}\p{{N}}])(?:{FEMALE_TITLES}|{MALE_TITLES}|{NEUTRAL_TITLES})\.? (?:\p{{Lu}}\. ){{0,2}}{_NAME_WORD}(?: {_NAME_WORD}){{0,2}}",
+    "ip": r"(?=[0-9])(?<![0-9.v])(?<!ersion )(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])(?:\.(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9])){3}(?!\.?[0-9])",
+    "person": rf"(?=[A-Z]|[^\x00-\x7F])(?<![\p{{L}}\p{{N}}])(?:{FEMALE_TITLES}|{MALE_TITLES}|{NEUTRAL_TITLES})\.? (?:\p{{Lu}}\. ){{0,2}}{_NAME_WORD}(?: {_NAME_WORD}){{0,2}}",
 }
 PATTERN = "|".join(f"(?:{p})" for p in KINDS.values())
+#: What every match holds one of: a text with none of them has no entity, and the patterns are not tried on it.
+HINT = "[0-9@=:]"
+TITLE_HINTS = ("Mr", "Ms", "Miss", "Frau", "Mme", "Madame", "Señor", "Sr", "Signor", "Monsieur", "Herr", "Dr", "Prof", "осподин", "оспожа", "октор", "υρία", "ύριος")
+#: Stands around matches for a moment; texts that hold it are cut by the pattern once more instead.
+MARK = "\ue0f1"
 #: Common given names by gender (to tell a gender by), and given names of surrogates by script and gender.
 KNOWN = {
     "f": "anna|maria|jane|mary|susan|linda|emma|laura|sophie|julia|sarah|claire|marie|elena|lucia|carmen|ana|eva|ingrid|petra|sabine|monika|nina|olga|анна|мария|елена|ольга|наталья|ирина|татьяна|μαρία|ελένη|άννα",
@@ -159,13 +164,22 @@ def by_script(norm: Column, made) -> Column:
     return F.when(norm.rlike(r"\p{IsCyrillic}"), made("cyrillic")).when(norm.rlike(r"\p{IsGreek}"), made("greek")).otherwise(made("latin"))
 
 
+def listed(names: str) -> Column:
+    """A constant array: one literal once folded, so that plans stay small."""
+    return F.split(F.lit(names), ",")
+
+
+def picked(names: Column, hexes: Column, at: Column) -> Column:
+    """One of the names for each hash byte of `at`."""
+    return F.transform(at, lambda i: F.element_at(names, byte(hexes, i) % F.size(names) + 1))
+
+
 def surrogate(kind: Column, norm: Column, attempt: Column, key: str = DEMO_KEY, max_rounds: int = MAX_ROUNDS) -> Column:
     """The normal form of the entity's replacement. From attempt max_rounds on it is widened by the attempt's rank."""
     extra = F.when(attempt >= max_rounds, (attempt - max_rounds).cast("string")).otherwise("")
 
     def made(h: Column) -> Column:
         digits = F.translate(h, "abcdef", "012345")
-        pick = lambda names, i: F.element_at(F.array(*[F.lit(x) for x in names]), byte(h, F.lit(i)) % len(names) + 1)
         body = F.concat(F.substring(norm, 1, 1), F.substring(digits, F.lit(1), F.length(norm) - 2), extra)
         checked = F.concat(body, ((10 - luhn(F.concat(body, F.lit("0")))) % 10).cast("string"))
         card = F.when(luhn(norm) == 0, checked).otherwise(F.concat(body, F.substring(digits, 200, 1)))
@@ -175,14 +189,15 @@ def surrogate(kind: Column, norm: Column, attempt: Column, key: str = DEMO_KEY,
         octet = lambda i: (byte(h, F.lit(i)) % 254 + 1).cast("string")
         # A rank past the rounds counts addresses of the block 10.0.0.0/8.
         ip = F.when(extra != "", F.concat_ws(".", F.lit("10"), *[(F.shiftright(attempt - max_rounds, s) % 256).cast("string") for s in (16, 8, 0)])).otherwise(F.concat_ws(".", *[octet(i) for i in range(4)]))
+        syllables = by_script(norm, lambda s: listed(SYLLABLES[s]))
         # Ranks are told in syllables, as names have no digits.
-        tail = lambda script: F.array_join(F.transform(F.split(extra, ""), lambda d: F.coalesce(F.get(F.split(F.lit(SYLLABLES[script]), ","), d.try_cast("int")), F.lit(""))), "")
-        family = by_script(norm, lambda s: F.concat(F.initcap(F.concat(*[pick(SYLLABLES[s].split(","), i) for i in FAMILY_BYTES])), tail(s)))
+        tail = F.array_join(F.transform(F.filter(F.split(extra, ""), lambda d: d != ""), lambda d: F.element_at(syllables, d.cast("int") + 1)), "")
+        family = F.concat(F.initcap(F.array_join(picked(syllables, h, F.array(*[F.lit(i) for i in FAMILY_BYTES])), "")), tail)
         # One name at first, more of them joined where that was taken.
-        several = lambda s, g: F.concat(F.array_join(F.slice(F.array(*[pick(GIVEN[s][g].split(","), i) for i in GIVEN_BYTES]), F.lit(1), F.least(F.lit(6), attempt + 1)), "-"), tail(s))
-        given = F.when(F.length(norm) < 3, F.concat(F.substring(by_script(norm, lambda s: F.initcap(pick(SYLLABLES[s].split(","), 0))), 1, 1), F.when(norm.endswith("."), ".").otherwise("")))
-        for g in ("f", "m", "n"):
-            given = given.when(kind == f"given_{g}", by_script(norm, lambda s, g=g: several(s, g)))
+        names = by_script(norm, lambda s: F.when(kind == "given_f", listed(GIVEN[s]["f"])).when(kind == "given_m", listed(GIVEN[s]["m"])).otherwise(listed(GIVEN[s]["n"])))
+        several = F.concat(F.array_join(picked(names, h, F.slice(F.array(*[F.lit(i) for i in GIVEN_BYTES]), F.lit(1), F.least(F.lit(len(GIVEN_BYTES)), attempt + 1))), "-"), tail)
+        initial = F.concat(F.upper(F.substring(F.element_at(syllables, byte(h, F.lit(0)) % F.size(syllables) + 1), 1, 1)), F.when(norm.endswith("."), ".").otherwise(""))
+        given = F.when(F.length(norm) < 3, initial).otherwise(several)
         return (F.when(kind == "email", email).when(kind == "card", card).when(kind == "ip", ip)
                 .when(kind.isin("phone", "ssn"), F.concat(F.substring(norm, 1, 1), F.substring(digits, F.lit(1), F.length(norm) - 1), extra))
                 .when(kind == "secret", secret).when(kind == "account", F.concat(F.substring(norm, 1, 2), scrambled(F.substring(norm, F.lit(3), F.length(norm)), h), extra))
@@ -201,9 +216,31 @@ def laid_out(kind: Column, raw: Column, replacement: Column) -> Column:
     return F.when(kind.isin("phone", "card", "ssn"), digits).when(kind == "secret", quoted).otherwise(replacement)
 
 
+def hinted(text: Column) -> Column:
+    out = text.rlike(HINT)
+    for title in TITLE_HINTS:
+        out = out | F.contains(text, F.lit(title))
+    return out
+
+
+def matches(text: Column) -> Column:
+    """All matches of the pattern in order; none (and no search) without a hint of one."""
+    return F.when(hinted(text), F.regexp_extract_all(text, F.lit(PATTERN), F.lit(0))).otherwise(F.array().cast("array<string>"))
+
+
+def cut_up(text: Column) -> Column:
+    """(between, raw): the pattern's matches and what lies around them, one more piece than matches; by one search."""
+    odd = lambda rest: lambda _, i: i % 2 == rest
+    marked = F.split(F.regexp_replace(text, PATTERN, f"{MARK}$0{MARK}"), MARK, -1)
+    once = common.let(marked, lambda m: F.struct(F.filter(m, odd(0)).alias("between"), F.filter(m, odd(1)).alias("raw")))
+    twice = F.struct(F.split(text, PATTERN, -1).alias("between"), matches(text).alias("raw"))
+    none = F.struct(F.array(text).alias("between"), F.array().cast("array<string>").alias("raw"))
+    return F.when(text.isNull() | ~hinted(text), none).when(F.contains(text, F.lit(MARK)), twice).otherwise(once)
+
+
 def entities(docs: DataFrame) -> DataFrame:
     """doc_id, kind, norm: a row per entity found (a family or given name is one)."""
-    found = docs.select("doc_id", F.explode(F.regexp_extract_all("text", F.lit(PATTERN), F.lit(0))).alias("raw"))
+    found = docs.select("doc_id", F.explode(matches(F.col("text"))).alias("raw"))
     return found.select("doc_id", F.explode(parts(F.col("raw"))).alias("e")).select("doc_id", "e.kind", "e.norm")
 
 
@@ -266,10 +303,9 @@ def replace(docs: DataFrame, key: str) -> DataFrame:
             return F.when(kind.isNull(), raw).when(kind == "person", person(raw)).otherwise(other)
         return common.let(kind_of(raw), by_kind)
 
-    raws, fresh_text = fresh(docs, "_raw"), fresh(docs, "_text")
-    listed = docs.withColumn(raws, F.regexp_extract_all("text", F.lit(PATTERN), F.lit(0)))
-    between = F.split("text", PATTERN, -1)
-    joined = F.array_join(F.zip_with(between, F.transform(raws, new), lambda a, b: F.concat(a, F.coalesce(b, F.lit("")))), "")
+    raws, fresh_text, cut = fresh(docs, "_raw"), fresh(docs, "_text"), fresh(docs, "_cut")
+    listed = docs.withColumn(cut, cut_up(F.col("text"))).withColumn(raws, F.col(f"{cut}.raw"))
+    joined = F.array_join(F.zip_with(f"{cut}.between", F.transform(raws, new), lambda a, b: F.concat(a, F.coalesce(b, F.lit("")))), "")
     titled = F.array_distinct(F.filter(raws, lambda x: kind_of(x) == "person"))
 
     def recurring(text: Column, raw: Column) -> Column:
