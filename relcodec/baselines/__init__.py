@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import gzip
 import heapq
 import math
 import zlib
@@ -16,17 +15,22 @@ from relcodec.schema import TableSpec, quoted
 
 
 def universal_size(df: DataFrame, codec: str = "gzip") -> int:
-    """Bytes of the text form, compressed partition by partition. codec: gzip, zlib, bz2 or lzma."""
+    """Bytes of the text form, one compressed stream per partition. codec: gzip, zlib, bz2 or lzma."""
     import bz2
     import lzma
 
-    squeeze = {"gzip": lambda b: gzip.compress(b, 6), "zlib": lambda b: zlib.compress(b, 9), "bz2": bz2.compress, "lzma": lzma.compress}[codec]
+    def stream():
+        return {"gzip": lambda: zlib.compressobj(6, zlib.DEFLATED, 31), "zlib": lambda: zlib.compressobj(9), "bz2": bz2.BZ2Compressor, "lzma": lzma.LZMACompressor}[codec]()
+
     line = F.concat_ws(",", *[F.coalesce(F.col(quoted(c)).cast("string"), F.lit("")) for c in df.columns])
 
     def sizes(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        # One stream per partition would need all of it; pieces of a batch lose little.
+        squeeze, n, some = stream(), 0, False
         for frame in frames:
-            yield pd.DataFrame({"bytes": [len(squeeze(("\n".join(frame["line"]) + "\n").encode()))]})
+            n += len(squeeze.compress(("\n".join(frame["line"]) + "\n").encode()))
+            some = True
+        if some:
+            yield pd.DataFrame({"bytes": [n + len(squeeze.flush())]})
 
     return int(df.select(line.alias("line")).mapInPandas(sizes, "bytes long").agg(F.sum("bytes")).first()[0] or 0)
 
@@ -88,36 +92,46 @@ def parquet_size(df: DataFrame, path: str, compression: str = "snappy") -> int:
     return int(df.sparkSession.read.format("binaryFile").load(f"{path}/*.parquet").agg(F.sum("length")).first()[0])
 
 
-def representative_row_bits(df: DataFrame, spec: TableSpec, k: int = 16, rounds: int = 3, seed: int = 0) -> float:
-    """Rows as the nearest of k representatives and the attributes on which they differ by more than the tolerance.
+def gzip_columns(df: DataFrame) -> int:
+    """Bytes of the text form, each column compressed by itself."""
+    return sum(universal_size(df.select(F.col(quoted(c)))) for c in df.columns)
+
+
+def representative_rows(df: DataFrame, spec: TableSpec, k: int = 16, rounds: int = 3, seed: int = 0) -> tuple[float, int]:
+    """(bits, bytes after gzip) of rows as the nearest of k representatives and the attributes on which they differ by
+    more than the tolerance.
 
-    Each round assigns every row to the representative it matches on most attributes (a broadcast of k rows), then makes
-    a representative of each group's modes and medians.
+    Each round assigns every row to the representative it matches on most attributes (k rows in the plan), then makes
+    a representative of each group's modes and medians. The bits are representative ids, a flag per attribute, and
+    fixed-width codes of what differs; the bytes are the same as compressed text.
     """
     names = spec.names
-    reps = df.select(*[F.col(quoted(n)) for n in names]).withColumn("_h", F.xxhash64(F.lit(seed), *[F.col(quoted(n)) for n in names])).orderBy("_h").limit(k).drop("_h").collect()
+    reps = [r.asDict() for r in df.select(*[F.col(quoted(n)) for n in names]).withColumn("_h", F.xxhash64(F.lit(seed), *[F.col(quoted(n)) for n in names])).orderBy("_h").limit(k).drop("_h").collect()]
     sizes = {r["attribute"]: r["bits"] for r in domain_code_bits(df, names).collect()}
+    near = {a.name for a in spec.attributes if a.numeric and a.kind not in ("timestamp", "date")}
 
-    def matched(rep) -> list:
+    def matched(rep: dict) -> list:
         out = []
         for a in spec.attributes:
             c = F.col(quoted(a.name))
-            if a.numeric and a.kind not in ("timestamp", "date") and rep[a.name] is not None:
-                out.append(F.coalesce(F.abs(c - F.lit(rep[a.name])) <= a.tolerance, F.lit(False)))
-            else:
-                out.append(c.eqNullSafe(F.lit(rep[a.name])))
+            close = a.name in near and rep[a.name] is not None
+            out.append(F.coalesce(F.abs(c - F.lit(rep[a.name])) <= a.tolerance, F.lit(False)) if close else c.eqNullSafe(F.lit(rep[a.name])))
         return out
 
-    assigned = df
     for r in range(rounds):
-        scores = F.array(*[sum((m.cast("int") for m in matched(rep)), F.lit(0)) for rep in reps])
-        assigned = df.withColumn("_rep", F.array_position(scores, F.array_max(scores)))
+        # One array of flags per representative; the first with the most matches wins.
+        flags = F.array(*[F.array(*[m.cast("int") for m in matched(rep)]) for rep in reps])
+        scored = df.withColumn("_flags", flags).withColumn("_scores", F.transform("_flags", lambda f: F.aggregate(f, F.lit(0), lambda x, y: x + y)))
+        assigned = scored.withColumn("_rep", F.array_position("_scores", F.array_max("_scores")).cast("int"))
         if r < rounds - 1:
-            better = assigned.groupBy("_rep").agg(*[(F.percentile_approx(quoted(a.name), 0.5) if a.numeric and a.kind not in ("timestamp", "date") else F.mode(F.col(quoted(a.name)), True)).alias(a.name) for a in spec.attributes]).orderBy("_rep").collect()
-            reps = [x.asDict() for x in better]
-    lost = [F.sum(F.when(F.element_at(F.array(*[m.cast("int") for m in [matched(rep)[i] for rep in reps]]), F.col("_rep").cast("int")) == 0, 1).otherwise(0)).alias(f"a{i}") for i in range(len(names))]
+            middle = lambda a: F.percentile_approx(quoted(a.name), 0.5) if a.name in near else F.mode(F.col(quoted(a.name)), True)
+            reps = [x.asDict() for x in assigned.groupBy("_rep").agg(*[middle(a).alias(a.name) for a in spec.attributes]).collect()]
+    own = F.element_at("_flags", F.col("_rep"))
+    lost = [F.sum(1 - own[i]).alias(f"a{i}") for i in range(len(names))]
     row = assigned.agg(F.count(F.lit(1)).alias("n"), *lost).first()
-    return row["n"] * (math.log2(max(len(reps), 2)) + len(names)) + sum(row[f"a{i}"] * sizes[n] for i, n in enumerate(names))
+    bits = row["n"] * (math.log2(max(len(reps), 2)) + len(names)) + sum((row[f"a{i}"] or 0) * sizes[n] for i, n in enumerate(names))
+    text = assigned.select("_rep", *[F.when(own[i] == 0, F.col(quoted(n)).cast("string")).alias(n) for i, n in enumerate(names)])
+    return bits, universal_size(text)
 
 
 def tree_predictor_bits(df: DataFrame, spec: TableSpec, target: str, features: list[str], depth: int = 5) -> float:

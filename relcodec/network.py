@@ -315,12 +315,13 @@ def cells(images: DataFrame, spec: TableSpec, families: list[tuple[str, tuple[st
     return images.mapInArrow(counted, "node int, key long, symbol long, cnt long").groupBy("node", "key", "symbol").agg(F.sum("cnt").alias("cnt"))
 
 
-def family_bits(images: DataFrame, spec: TableSpec, families: list[tuple[str, tuple[str, ...]]]) -> list[float]:
-    """Objective of each family on all rows, as it would be coded: one scan for all of them."""
+def family_bits(images: DataFrame, spec: TableSpec, families: list[tuple[str, tuple[str, ...]]], with_model: bool = True) -> list[float]:
+    """Objective of each family on all rows, as it would be coded (or its data bits alone): one scan for all of them."""
     n = F.col("cnt").cast("double")
     per = cells(images, spec, families).groupBy("node", "key").agg(F.count(F.lit(1)).alias("cells"), F.sum(n).alias("g"), F.sum(n * F.log2(n)).alias("s"))
     rows = per.groupBy("node").agg(F.sum("cells").alias("cells"), F.count(F.lit(1)).alias("configs"), F.sum(F.col("g") * F.log2("g") - F.col("s")).alias("data")).collect()
-    found = {r["node"]: model_bits(r["cells"], r["configs"], domain_of(spec[families[r["node"]][0]])) + r["data"] for r in rows}
+    price = lambda r: model_bits(r["cells"], r["configs"], domain_of(spec[families[r["node"]][0]])) if with_model else 0.0
+    found = {r["node"]: price(r) + r["data"] for r in rows}
     return [found.get(i, 0.0) for i in range(len(families))]
 
 
