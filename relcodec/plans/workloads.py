@@ -303,11 +303,11 @@ def roundtrip_embeddings(spark, sf_dir):
     return roundtrip("embeddings")(spark, sf_dir).select("vec_id", "label", F.posexplode("embedding").alias("dim", "x")).select("vec_id", "label", F.col("dim").cast("long").alias("dim"), F.col("x").cast("double").alias("x"))
 
 
-def leaf_sql(column: str, source: str, key: str, share: float) -> str:
-    """Prices as the archive gives them back within a share of their range: the middle cent of runs of cents."""
-    return f"""WITH s AS (SELECT min(round({column} * 100))::BIGINT AS lo, (max(round({column} * 100)) - min(round({column} * 100)))::DOUBLE / 100 * {share} AS tolerance FROM {source}),
-w AS (SELECT lo, floor(2 * tolerance * 100 + 1e-9)::BIGINT + 1 AS step, tolerance FROM s),
-r AS (SELECT {key}, {column}, tolerance, ((round({column} * 100)::BIGINT - lo) // step * step + lo + (step - 1) // 2) / 100.0::DOUBLE AS back FROM {source}, w)"""
+def leaf_sql(column: str, source: str, key: str, share: float, unit: int = 100) -> str:
+    """Prices as the archive gives them back within a share of their range: the middle of runs of cents (1 / unit)."""
+    return f"""WITH s AS (SELECT min(round({column} * {unit}))::BIGINT AS lo, (max(round({column} * {unit})) - min(round({column} * {unit})))::DOUBLE / {unit} * {share} AS tolerance FROM {source}),
+w AS (SELECT lo, floor(2 * tolerance * {unit} + 1e-9)::BIGINT + 1 AS step, tolerance FROM s),
+r AS (SELECT {key}, {column}, tolerance, ((round({column} * {unit})::BIGINT - lo) // step * step + lo + (step - 1) // 2) / {unit}.0::DOUBLE AS back FROM {source}, w)"""
 
 
 @query("lossy_roundtrip_orders", """WITH s AS (SELECT min(round(o_totalprice * 100))::BIGINT AS lo FROM orders) SELECT o_orderkey, o_custkey, o_orderstatus, ((round(o_totalprice * 100)::BIGINT - lo) // 2001 * 2001 + lo + 1000) / 100.0::DOUBLE AS o_totalprice FROM orders, s""")
@@ -347,8 +347,9 @@ def lossy_roundtrip(name: str, key: str, price: str):
     return run
 
 
-for _name, _key, _price in (("customer", "c_custkey", "c_acctbal"), ("supplier", "s_suppkey", "s_acctbal"), ("part", "p_partkey", "p_retailprice")):
-    query(f"lossy_roundtrip_{_name}", leaf_sql(_price, _name, _key, 0.005) + f" SELECT {_key}, back AS {_price} FROM r")(lossy_roundtrip(_name, _key, _price))
+# Retail prices have one decimal.
+for _name, _key, _price, _unit in (("customer", "c_custkey", "c_acctbal", 100), ("supplier", "s_suppkey", "s_acctbal", 100), ("part", "p_partkey", "p_retailprice", 10)):
+    query(f"lossy_roundtrip_{_name}", leaf_sql(_price, _name, _key, 0.005, _unit) + f" SELECT {_key}, back AS {_price} FROM r")(lossy_roundtrip(_name, _key, _price))
 
 
 @query("delta_roundtrip_lineitem3", "SELECT l_returnflag, l_linestatus, l_linenumber, count(*)::BIGINT AS n FROM lineitem GROUP BY 1, 2, 3")

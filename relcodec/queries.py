@@ -6,7 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from relcodec import archive as archives
 from relcodec.functions import scalars  # noqa: F401  (registers its queries)
-from relcodec.operators import relational  # noqa: F401
+from relcodec.operators import more, relational  # noqa: F401
 from relcodec.plans import studies  # noqa: F401
 from relcodec.plans.workloads import ORACLES, QUERIES
 from relcodec.sources.tables import scratch, table

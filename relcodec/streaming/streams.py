@@ -97,3 +97,31 @@ def stream_state_counts(spark, sf_dir):
 
     s = events_stream(spark, sf_dir).select("event_type", "event_id").groupBy("event_type").applyInPandasWithState(update, "event_type string, n long", "n long", "update", GroupStateTimeout.NoTimeout)
     return finished(s, spark, "update").groupBy("event_type").agg(F.max("n").alias("n"))
+
+
+@query("stream_interval_join", """SELECT count(*)::BIGINT AS n FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL '10 minutes'""")
+def stream_interval_join(spark, sf_dir):
+    """Events of one user within ten minutes of each other: two streams joined on a time range."""
+    one = events_stream(spark, sf_dir).select(F.col("user_id").alias("u"), F.col("ts").alias("t")).withWatermark("t", "1 hour")
+    other = events_stream(spark, sf_dir).select("user_id", "ts").withWatermark("ts", "1 hour")
+    joined = one.join(other, F.expr("u = user_id AND ts > t AND ts <= t + INTERVAL 10 MINUTES"))
+    return finished(joined.select("u"), spark).agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("stream_drift_alarm", """WITH w AS (SELECT date_trunc('day', ts)::DATE AS day, avg(value) AS mean, count(*) AS n FROM events GROUP BY 1) SELECT day, round(mean, 6) AS mean, n::BIGINT AS n FROM w WHERE abs(mean - 50) > 2""")
+def stream_drift_alarm(spark, sf_dir):
+    """Days on which a number's mean is off the one that a model was fitted with."""
+    s = events_stream(spark, sf_dir).groupBy(F.window("ts", "1 day").alias("w")).agg(F.avg("value").alias("mean"), F.count(F.lit(1)).alias("n"))
+    return finished(s, spark, "complete").filter(F.abs(F.col("mean") - 50) > 2).select(F.to_date("w.start").alias("day"), F.round("mean", 6).alias("mean"), "n")
+
+
+@query("stream_late_rows", "SELECT count(*)::BIGINT AS rows_kept FROM events")
+def stream_late_rows(spark, sf_dir):
+    """Every row in a side table as it came, whatever the watermark: late rows leave a state, not the raw archive."""
+    out = scratch(spark)
+
+    def keep(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{out}/batch={batch_id}")
+
+    events_stream(spark, sf_dir).withWatermark("ts", "10 minutes").writeStream.foreachBatch(keep).option("checkpointLocation", scratch(spark)).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.parquet(out).agg(F.count(F.lit(1)).alias("rows_kept"))
