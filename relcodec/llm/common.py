@@ -54,8 +54,11 @@ def window_hashes(tokens: Column, size: int) -> Column:
 
 
 def scratch_dir(spark: SparkSession) -> str:
-    """A new folder under the cluster's shared checkpoint folder; a folder of this machine only where none is configured."""
+    """A new folder under the cluster's shared checkpoint folder; where none is set, one of this machine if it is all
+    there is (a local master), else an error."""
     root = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir", None)
+    if not root and not spark.sparkContext.master.split("[")[0] == "local":
+        raise RuntimeError("set spark.checkpoint.dir to a folder that the driver and all executors share")
     if not root:
         root = tempfile.mkdtemp(prefix="relcodec-")
     return f"{root.rstrip('/')}/relcodec-{uuid.uuid4().hex}"

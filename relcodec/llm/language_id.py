@@ -29,6 +29,7 @@ from relcodec.llm import common
 UNDETERMINED = "und"
 BUCKETS = 1 << 15
 SAMPLE_PER_LANGUAGE = 2000
+#: More labelled languages than this are an error, never dropped: models are BUCKETS numbers each.
 MAX_LANGUAGES = 512
 HELD_OUT_MODULUS, HELD_OUT_REMAINDER = 4, 2
 
@@ -66,7 +67,9 @@ def fit(docs: DataFrame, sample_per_language: int = SAMPLE_PER_LANGUAGE, id_col:
     labelled = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).alias("text"), F.col(lang_col).alias("lang")).filter("lang is not null and text is not null")
     # The bounded sample: per language the ids with the smallest hashes, found on narrow rows before any text moves.
     keys = labelled.select("lang", F.xxhash64("doc_id").alias("h"))
-    totals = {r["lang"]: r["n"] for r in keys.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "lang").limit(MAX_LANGUAGES).collect()}
+    totals = {r["lang"]: r["n"] for r in keys.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).orderBy(F.desc("n"), "lang").limit(MAX_LANGUAGES + 1).collect()}
+    if len(totals) > MAX_LANGUAGES:
+        raise ValueError(f"more than {MAX_LANGUAGES} languages are labelled: their models would not fit a broadcast")
     if not totals:
         return [], np.zeros((0, BUCKETS))
     # A uniform hash threshold leaves about four samples' worth of rows per language; ranks decide among those.
@@ -138,7 +141,7 @@ def infer(text: str | None, log_probs: np.ndarray, penalty: float = 8.0) -> list
 
 def identify(docs: DataFrame, model: tuple[list[str], np.ndarray], penalty: float = 8.0, id_col: str = "doc_id", text_col: str = "text",
              passthrough: tuple[str, ...] = ()) -> DataFrame:
-    """doc_id (or the columns named to pass through), lang_pred, score (share of the main language, times its margin over the next one), mixture."""
+    """doc_id (or the columns named to pass through), lang_pred, score (share of the main language), mixture."""
     langs, log_probs = model
     shared = docs.sparkSession.sparkContext.broadcast(log_probs)
 

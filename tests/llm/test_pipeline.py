@@ -29,3 +29,19 @@ def test_null_and_shared_ids(spark):
     assert sorted(map(str, ((r["doc_id"], r["text"]) for r in left.collect()))) == sorted(map(str, [rows[0], *rows[3:]]))
     clean = corpus_pipeline.benchmark_leaks(spark, left, sf)
     assert sorted(map(str, ((r["doc_id"], r["text"]) for r in clean.collect()))) == sorted(map(str, [rows[0], *rows[3:6]]))
+
+
+def test_empty_and_odd_tables(spark):
+    sf = "/root/testdata/sf0.001"
+    schema = common.documents(spark, sf).schema
+    empty = spark.createDataFrame([], schema)
+    long_text = " ".join(f"the{i % 977} and{i % 1009}" for i in range(60_000))
+    odd = spark.createDataFrame([(1, "", None, None, 0), (2, None, "en", "x", None), (3, long_text, "en", "x", 1), (3, long_text, "en", "x", 1), (4, long_text, None, "y", 2)], schema)
+    odd = odd.selectExpr("*", "1 AS _key", "2 AS class_id", "3 AS bands", "4 AS h")
+    for name, stage in corpus_pipeline.STAGES:
+        assert common.materialise(stage(spark, empty, sf)).count() == 0
+        out = stage(spark, odd, sf)
+        ids = {r["doc_id"] for r in out.collect()}
+        assert ids == {"language": ids, "near_duplicates": {1, 2, 3}}.get(name, {1, 2, 3, 4}), name
+        if name != "packing":
+            assert tuple(out.columns) == corpus_pipeline.COLUMNS
