@@ -2,6 +2,11 @@
 
 Each stage takes (spark, docs, sf_dir) and works on all rows it is given; run() writes a stage's rows as Parquet in the
 shared scratch folder and reads them again for the next one.
+
+Defined cases, for every stage: rows whose ids are null or shared are told apart by a key of id and text (`keyed`); null
+and empty texts have no language, so they go in the first stage (alone, later stages keep them); rows equal in id and
+text are one document from the second stage on; of equally near copies the smallest id stays; very long texts are read
+whole; columns beyond those of documents are dropped; an empty table goes through all stages and stays empty.
 """
 
 from __future__ import annotations
