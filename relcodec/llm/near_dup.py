@@ -47,7 +47,6 @@ ROUNDS = 2
 #: A region that more texts than this enter by is joined in that many blocks.
 BLOCK = 1000
 BATCH_WORDS = 100_000
-PAIRS_AT_ONCE = 256
 
 _M = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x27D4EB2F165667C5, 0x85EBCA77C2B2AE63], np.uint64)
 
@@ -173,34 +172,13 @@ def sketch(docs: DataFrame, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(sketched, "doc_id long, copy_key binary, bands array<long>")
 
 
-def similarities(pairs: DataFrame, texts: DataFrame) -> DataFrame:
-    """a, b, similarity (weighted Jaccard of shingle multisets) of each pair of ids."""
-    left = texts.select(F.col("doc_id").alias("a"), F.col("text").alias("a_text"))
-    right = texts.select(F.col("doc_id").alias("b"), F.col("text").alias("b_text"))
-
-    schema = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("similarity", pa.float64())])
-
-    def compared(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for whole in batches:
-            for at in range(0, whole.num_rows, PAIRS_AT_ONCE):
-                batch = whole.slice(at, PAIRS_AT_ONCE)
-                a_ids, b_ids = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-                known = dict(zip(a_ids, batch.column(2).to_pylist(), strict=True)) | dict(zip(b_ids, batch.column(3).to_pylist(), strict=True))
-                names, bodies = list(known), list(known.values())
-                unit: dict[int, np.ndarray] = {}
-                for s, e in by_words([len(t or "") for t in bodies]):
-                    region, limits = regions(*word_hashes(bodies[s:e]))
-                    for i in range(e - s):
-                        unit[names[s + i]] = np.sort(region[limits[i]:limits[i + 1]])
-                sims = []
-                for a, b in zip(a_ids, b_ids, strict=True):
-                    x, y = unit[a], unit[b]
-                    x, y = (x, y) if len(x) <= len(y) else (y, x)
-                    both = int((y[np.minimum(np.searchsorted(y, x), len(y) - 1)] == x).sum()) if len(x) else 0
-                    sims.append(both / (len(x) + len(y) - both) if len(x) + len(y) else 1.0)
-                yield pa.RecordBatch.from_pydict({"a": a_ids, "b": b_ids, "similarity": sims}, schema=schema)
-
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "a_text", "b_text").mapInArrow(compared, "a long, b long, similarity double")
+def similarities(pairs: DataFrame, units: DataFrame) -> DataFrame:
+    """a, b, similarity (weighted Jaccard of shingle multisets) of each pair of ids, from the regions of their texts."""
+    left = units.select(F.col("doc_id").alias("a"), F.col("units").alias("a_units"))
+    right = units.select(F.col("doc_id").alias("b"), F.col("units").alias("b_units"))
+    both = F.size(F.array_intersect("a_units", "b_units"))
+    counted = pairs.join(left, "a").join(right, "b").select("a", "b", both.alias("both"), (F.size("a_units") + F.size("b_units")).alias("all"))
+    return counted.select("a", "b", F.when(F.col("all") > 0, F.col("both") / (F.col("all") - F.col("both"))).otherwise(1.0).alias("similarity"))
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -242,16 +220,15 @@ def unit_regions(texts: DataFrame) -> DataFrame:
     return texts.select("doc_id", "text").mapInArrow(cut, "doc_id long, units array<long>")
 
 
-def links_between(texts: DataFrame, label: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
-    """a, b: every pair of texts of different labels (doc_id, label) that may reach the threshold.
+def links_between(units: DataFrame, label: DataFrame, threshold: float = THRESHOLD) -> DataFrame:
+    """a, b: every pair of texts (doc_id, units) of different labels (doc_id, label) that may reach the threshold.
 
     An overlap of texts with different labels holds only regions that several labels have. In one order of all regions
     (the others first, then from rare to frequent), two texts whose overlap is at least `need` share a region among
     the first n - need + 1 of each, and behind the first one that they share enough must be left in both.
     """
     share = threshold / (1 + threshold)
-    texts = texts.join(label, "doc_id")
-    units = unit_regions(texts).join(label, "doc_id").select("doc_id", "label", F.size("units").alias("n"), F.explode("units").alias("unit"))
+    units = units.join(label, "doc_id").select("doc_id", "label", F.size("units").alias("n"), F.explode("units").alias("unit"))
     units = common.materialise(units)
     shared = units.groupBy("unit").agg(F.count(F.lit(1)).alias("df"), F.min("label").alias("low"), F.max("label").alias("high")).filter("low <> high").select("unit", "df")
     own = W.partitionBy("doc_id")
@@ -287,7 +264,8 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
     # The more texts share one's buckets, the nearer it is to the middle of its group.
     rank = common.materialise(shared.groupBy("doc_id").agg((-F.sum("n")).alias("rank")))
     alive = common.materialise(shared.select("bucket", "doc_id").join(rank, "doc_id"))
-    texts = common.materialise(docs.join(rank, "doc_id", "left_semi").dropDuplicates(["doc_id"]))
+    # The regions of every text with company, made once: pairs are compared inside the JVM, whose memory is bounded.
+    units = common.materialise(unit_regions(docs.join(rank, "doc_id", "left_semi")).dropDuplicates(["doc_id"]))
 
     none = docs.sparkSession.createDataFrame([], "a long, b long, similarity double")
     edges, label = none, none.select(F.col("a").alias("node"), F.col("b").alias("label"))
@@ -295,7 +273,7 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
         pivots = alive.groupBy("bucket").agg(F.min(F.struct("rank", "doc_id"))["doc_id"].alias("pivot"))
         alive = common.materialise(alive.join(common.materialise(pivots), "bucket"))
         pairs = alive.filter("doc_id <> pivot").select(F.col("doc_id").alias("a"), F.col("pivot").alias("b")).distinct()
-        found = common.materialise(similarities(pairs, texts))
+        found = common.materialise(similarities(pairs, units))
         edges = edges.union(found.filter(F.col("similarity") >= threshold))
         label = components(edges)
         seen = alive.join(found.withColumnsRenamed({"a": "doc_id", "b": "pivot"}), ["doc_id", "pivot"], "left")
@@ -313,8 +291,8 @@ def classes(docs: DataFrame, threshold: float = THRESHOLD, bands: int = BANDS, r
             break
     else:
         rest = alive.select("doc_id").distinct().join(label.withColumnRenamed("node", "doc_id"), "doc_id", "left").withColumn("label", F.coalesce("label", "doc_id"))
-        left = common.materialise(links_between(texts, common.materialise(rest), threshold))
-        found = common.materialise(similarities(left, texts).filter(F.col("similarity") >= threshold))
+        left = common.materialise(links_between(units, common.materialise(rest), threshold))
+        found = common.materialise(similarities(left, units).filter(F.col("similarity") >= threshold))
         if not found.isEmpty():
             label = components(edges.union(found))
     named = copies.join(label.withColumnRenamed("node", "copy_of"), "copy_of", "left").select("copy_key", "copy_of", F.coalesce("label", "copy_of").alias("class_id"))

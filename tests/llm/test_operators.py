@@ -192,7 +192,7 @@ def test_links_between_finds_every_link_of_different_classes(spark):
     _, links = brute_classes(texts)
     df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
     label = spark.createDataFrame([(i, i if i % 3 else 0) for i in range(len(texts))], "doc_id long, label long")
-    got = {(r["a"], r["b"]) for r in near_dup.links_between(df, label).collect()}
+    got = {(r["a"], r["b"]) for r in near_dup.links_between(near_dup.unit_regions(df), label).collect()}
     wanted = {(i, j) for i, j in links if i % 3 or j % 3}
     assert wanted and all((i, j) in got or (j, i) in got for i, j in wanted)
 
