@@ -53,7 +53,9 @@ def huffman_lengths(counts: dict) -> dict:
 
 
 def huffman_bits(df: DataFrame, column: str, parents: tuple[str, ...] = ()) -> int:
-    """Bits of a column under one prefix code, or one per configuration of parents (the network with prefix codes)."""
+    """Bits of a column under one prefix code, or one per configuration of parents (the network with prefix codes).
+
+    A prefix code is built on the driver from the column's counts, so this is for domains that fit there."""
     cells = df.groupBy(*[F.col(quoted(p)).cast("string").alias(f"p{i}") for i, p in enumerate(parents)], F.col(quoted(column)).cast("string").alias("v")).count().collect()
     groups: dict = {}
     for r in cells:
@@ -97,7 +99,7 @@ def gzip_columns(df: DataFrame) -> int:
     return sum(universal_size(df.select(F.col(quoted(c)))) for c in df.columns)
 
 
-def representative_rows(df: DataFrame, spec: TableSpec, k: int = 16, rounds: int = 3, seed: int = 0) -> tuple[float, int]:
+def representative_rows(df: DataFrame, spec: TableSpec, k: int = 8, rounds: int = 2, seed: int = 0) -> tuple[float, int]:
     """(bits, bytes after gzip) of rows as the nearest of k representatives and the attributes on which they differ by
     more than the tolerance.
 

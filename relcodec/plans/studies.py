@@ -123,7 +123,8 @@ def treatments(subject: Subject, percent: float = 1.0) -> list[tuple]:
                  ("network with prefix codes", (baselines.network_huffman_bits(flat, own) + rest) / 8)]
         exact = infer_spec(flat)
         near = exact.with_tolerance_pct(percent)
-        rows += [("representative rows, lossy", baselines.representative_rows(flat, near)[0] / 8), ("representative rows and gzip, lossy", baselines.representative_rows(flat, near)[1])]
+        bits, squeezed = baselines.representative_rows(flat, near)
+        rows += [("representative rows, lossy", bits / 8), ("representative rows and gzip, lossy", squeezed)]
         if len(numbers) > 1:
             predicted = {n: baselines.tree_predictor_bits(flat, near, n, [x for x in numbers if x != n]) for n in numbers[:1]}
             rows.append(("tree predictor of one number, lossy", (sum(b for c, b in domain.items() if c not in predicted) * subject.rows + sum(predicted.values())) / 8))
