@@ -46,7 +46,7 @@ THRESHOLD = 0.8
 ROUNDS = 2
 #: A region that more texts than this enter by is joined in that many blocks.
 BLOCK = 1000
-BATCH_WORDS = 100_000
+BATCH_WORDS = 40_000
 
 _M = np.array([0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x27D4EB2F165667C5, 0x85EBCA77C2B2AE63], np.uint64)
 
@@ -168,6 +168,8 @@ def sketch(docs: DataFrame, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
                 band = band_keys(signatures(region, limits, bands * rows), bands, rows)
                 some = np.diff(limits) > 0
                 yield pa.RecordBatch.from_pydict({"doc_id": ids, "copy_key": keys, "bands": [x if s else x[:0] for x, s in zip(band, some, strict=True)]}, schema=schema)
+            # What Arrow keeps for reuse would stay with the worker through all later stages.
+            pa.default_memory_pool().release_unused()
 
     return docs.select("doc_id", "text").mapInArrow(sketched, "doc_id long, copy_key binary, bands array<long>")
 
