@@ -37,8 +37,8 @@ class EliasFano:
         flags = np.zeros((int(places[-1]) + 8 if n else 8) // 8 * 8, np.uint8)
         flags[places] = 1
         high = np.packbits(flags, bitorder="little")
-        lows = (values & np.uint64((1 << bits) - 1))
-        packed = np.packbits(((lows[:, None] >> np.arange(bits, dtype=np.uint64)) & np.uint64(1)).astype(np.uint8).ravel(), bitorder="little") if bits else np.zeros(0, np.uint8)
+        each = np.unpackbits(values.astype("<u8").view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")[:, :bits]
+        packed = np.packbits(each.ravel(), bitorder="little")
         ones = np.concatenate([[0], np.cumsum(_ONES[high], dtype=np.int64)]).astype(np.uint32)
         return cls(np.concatenate([packed, np.zeros(16, np.uint8)]), high, ones, bits, n)
 
@@ -54,10 +54,8 @@ class EliasFano:
         if self.bits:
             bit = i * self.bits
             byte, shift = bit >> 3, (bit & 7).astype(np.uint64)
-            raw = np.zeros(len(i), np.uint64)
-            for k in range(8):
-                raw |= self.low[byte + k].astype(np.uint64) << np.uint64(8 * k)
-            low = raw >> shift
+            # The eight bytes from each place on, read as one number (`low` ends with spare bytes).
+            low = np.ndarray(len(self.low) - 7, "<u8", self.low, 0, (1,))[byte] >> shift
             if self.bits > 57:
                 spill = shift > 0
                 low[spill] |= self.low[byte[spill] + 8].astype(np.uint64) << (np.uint64(64) - shift[spill])
@@ -123,7 +121,8 @@ class Trie:
                 file.write(np.ascontiguousarray(a).tobytes())
             file.write(b"\0" * 8)
             file.flush()
-            whole = np.memmap(file, np.uint8, "r")
+            # A plain view: it keeps the mapping alive without the cost of its class at every index.
+            whole = np.asarray(np.memmap(file, np.uint8, "r"))
         parts = [whole[s: s + a.nbytes].view(a.dtype) for s, a in zip(at, parts, strict=True)]
         ef = [EliasFano(*parts[3 * k: 3 * k + 3], old.bits, old.n) for k, old in enumerate((self.contexts, self.pointers, self.successors))]
         return Trie(*ef, parts[9], parts[10])

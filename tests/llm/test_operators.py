@@ -2,10 +2,12 @@
 
 import collections
 import math
+import pickle
 import re
 import zlib
 
 import numpy as np
+import pandas as pd
 import public_tokenizers
 import pytest
 from pyspark.sql import functions as F
@@ -372,6 +374,22 @@ def test_segments_against_definition(seed):
     assert [(a, b) for a, b, _ in got] == [(a, b) for a, b, _ in want]
 
 
+def test_shard_looks_distinct_pairs_up_once(monkeypatch):
+    """Many requests for the same words cost one search each distinct word and pair, and all get the same answer."""
+    words, sizes, hashes = lm_scoring.tokenised([BASE])
+    body = pickle.dumps({"ids": np.zeros(1, np.int64), "null": np.zeros(1, bool), "held": np.zeros(1, bool), "sizes": lm_scoring.packed(sizes), "words": lm_scoring.packed(words), "hashes": hashes.tobytes()})
+    block = lm_scoring.Block(body, 1)
+    (_, w, p), = block.slices()
+    short = np.ascontiguousarray(block.pair_short[p].view(np.uint8).reshape(-1, 8)[:, : elias_fano.KEY_BITS // 8]).tobytes()
+    ask = pickle.dumps((block.word_hash[w].tobytes(), lm_scoring.packed(block.word_count[w]), lm_scoring.packed(np.bincount(block.pair_context[p], minlength=w.stop)), short, lm_scoring.packed(block.pair_count[p])))
+    searched = []
+    find = elias_fano.EliasFano.find
+    monkeypatch.setattr(elias_fano.EliasFano, "find", lambda self, keys, start, stop: searched.append(len(keys)) or find(self, keys, start, stop))
+    out = lm_scoring.answered(pd.DataFrame({"shard": 0, "block_id": range(5), "ask": [ask] * 5}), lm_scoring.DISCOUNT)
+    assert sum(searched) == len(block.word_hash) + len(block.pair_short)
+    assert out["answer"].nunique() == 1 and out["tokens"].iloc[0] == 5 * 201
+
+
 def test_elias_fano():
     rng = np.random.default_rng(1)
     for n, u in ((1, 5), (1000, 1 << 62), (5000, 300), (20000, 1 << 40)):
