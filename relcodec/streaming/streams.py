@@ -5,8 +5,6 @@ Each query reads the table as a file stream, runs it to its end (availableNow) a
 
 from __future__ import annotations
 
-import uuid
-
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -27,9 +25,15 @@ def finished(stream: DataFrame, spark: SparkSession, mode: str = "append") -> Da
         out = scratch(spark)
         stream.writeStream.format("parquet").option("path", out).option("checkpointLocation", scratch(spark)).trigger(availableNow=True).start().awaitTermination()
         return spark.read.schema(stream.schema).parquet(out)
-    name = f"stream_{uuid.uuid4().hex}"
-    stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", scratch(spark)).trigger(availableNow=True).start().awaitTermination()
-    return spark.table(name)
+    # Whole results go to files, not to a sink in the driver's memory: a folder per batch, of which the last one holds.
+    out, last = scratch(spark), []
+
+    def keep(rows: DataFrame, batch: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{out}/{batch}")
+        last[:] = [batch]
+
+    stream.writeStream.foreachBatch(keep).outputMode(mode).option("checkpointLocation", scratch(spark)).trigger(availableNow=True).start().awaitTermination()
+    return spark.read.schema(stream.schema).parquet(f"{out}/{last[0]}") if last else spark.createDataFrame([], stream.schema)
 
 
 @query("stream_scan_events", "SELECT event_type, count(*)::BIGINT AS n FROM events GROUP BY 1")
