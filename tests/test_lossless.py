@@ -87,3 +87,19 @@ def test_closeness_sees_lost_rows(spark):
     spec = infer_spec(df)
     seen = {r["attribute"]: (r["violations"], r["lost"]) for r in measures.closeness(df, df.filter("id <> 3"), "id", spec).collect()}
     assert seen["v"] == (1, 1)
+
+
+def test_a_named_number_of_few_values_has_its_tolerance(spark):
+    df = spark.range(4000).selectExpr("id", "case when id % 50 = 0 then null else round((id % 40) * 2.5, 1) end as price", "id % 3 as part")
+    spec = infer_spec(df)
+    assert [spec[n].kind for n in ("price", "part")] == ["categorical"] * 2
+    near = spec.with_tolerance_pct(5.0, ["price"])
+    assert [near[n].kind for n in ("price", "part")] == ["decimal", "categorical"]
+    assert near["price"].tolerance == pytest.approx(97.5 * 0.05)
+    got = near.quantise(df)
+    rows = df.join(got.withColumnRenamed("price", "back"), "id").collect()
+    assert all((r["back"] is None) == (r["price"] is None) for r in rows)
+    errors = [abs(r["back"] - r["price"]) for r in rows if r["price"] is not None]
+    assert 0 < max(errors) <= near["price"].tolerance + 1e-9
+    # Without names, and at a tolerance of nothing, categories stay exact.
+    assert spec.with_tolerance_pct(5.0)["price"].kind == spec.with_tolerance(0.0, ["price"])["price"].kind == "categorical"
