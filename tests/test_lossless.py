@@ -90,7 +90,7 @@ def test_closeness_sees_lost_rows(spark):
 
 
 def test_a_named_number_of_few_values_has_its_tolerance(spark):
-    df = spark.range(4000).selectExpr("id", "case when id % 50 = 0 then null else round((id % 40) * 2.5, 1) end as price", "id % 3 as part")
+    df = spark.range(4000).selectExpr("id", "case when id % 50 = 0 then null else round((id % 40) * 2.5D, 1) end as price", "id % 3 as part")
     spec = infer_spec(df)
     assert [spec[n].kind for n in ("price", "part")] == ["categorical"] * 2
     near = spec.with_tolerance_pct(5.0, ["price"])
