@@ -66,3 +66,18 @@ def test_representative_rows_by_hand(spark):
         want += sizes["id"] * (not near(i, one["id"], spec["id"].tolerance)) + sizes["x"] * (not near(x, one["x"], spec["x"].tolerance))
         want += sizes["s"] * (s != one["s"]) + sizes["t"] * (t != one["t"])
     assert baselines.representative_rows(df, spec, k=1, rounds=1)[0] == want
+
+
+def test_text_sizes_are_those_of_each_group_alone(spark):
+    import zlib
+
+    df = spark.range(3000).coalesce(1).selectExpr("id", "case when id % 3 = 0 then null else concat('t', id % 17) end as t")
+    rows = df.collect()
+    texts = [[f"{r['id']},{r['t'] or ''}" for r in rows], [str(r["id"]) for r in rows], [r["t"] or "" for r in rows]]
+    plain = []
+    for lines in texts:
+        squeeze = zlib.compressobj(6, zlib.DEFLATED, 31)
+        plain.append(len(squeeze.compress(("\n".join(lines) + "\n").encode())) + len(squeeze.flush()))
+    assert baselines.text_sizes(df, [["id", "t"], ["id"], ["t"]]) == plain
+    assert (baselines.universal_size(df), baselines.gzip_columns(df)) == (plain[0], plain[1] + plain[2])
+    assert baselines.universal_size(df.limit(0)) == 0
