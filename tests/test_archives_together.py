@@ -62,3 +62,13 @@ def test_packed_codes_are_the_bits(spark):
         bits, sizes = enc.codes()
         payload, same = enc.packed()
         assert payload == np.packbits(bits).tobytes() and (sizes == same).all()
+
+
+def test_five_samples_of_one_scan_are_the_single_ones(spark):
+    s = studies.Subject(star(spark, SF))
+    images = s.spec.images(s.wide)
+    found = archive.samples_random(images, {seed: 500 for seed in range(5)}, s.rows)
+    for seed, rows in found.items():
+        assert [tuple(r)[: len(images.columns)] for r in rows] == [tuple(r) for r in archive.sample_random(images, 500, seed).collect()], seed
+    # A wrong number of rows makes no sample smaller.
+    assert len(archive.samples_random(images, {0: 500}, 100 * s.rows)[0]) == 500
