@@ -81,3 +81,76 @@ def test_text_sizes_are_those_of_each_group_alone(spark):
     assert baselines.text_sizes(df, [["id", "t"], ["id"], ["t"]]) == plain
     assert (baselines.universal_size(df), baselines.gzip_columns(df)) == (plain[0], plain[1] + plain[2])
     assert baselines.universal_size(df.limit(0)) == 0
+
+
+def test_columns_are_counted_in_one_scan(spark):
+    import math
+
+    # Each column was grouped by itself before.
+    df = spark.range(4000).selectExpr(*[f"id % {k} as a{k}" for k in range(1, 9)], "case when id % 3 = 0 then null else concat('t', id % 50) end as t", "case when id % 2 = 0 then double('NaN') else id end as x", "id")
+    columns = df.columns
+    spark.sparkContext.setJobGroup("columns", "")
+    try:
+        bits = baselines.column_huffman_delta_bits(df, columns)
+    finally:
+        spark.sparkContext.setLocalProperty("spark.jobGroup.id", None)
+    assert len(spark.sparkContext.statusTracker().getJobIdsForGroup("columns")) <= 4
+    assert bits == sum(baselines.huffman_bits(df, c) for c in columns) - 4000 * (math.log2(4000) - 2)
+    found = {r["attribute"]: (r["distinct_values"], r["bits"]) for r in baselines.domain_code_bits(df, columns).collect()}
+    assert found == {c: (n, math.ceil(math.log2(n))) for c, n in ((c, df.select(c).distinct().count()) for c in columns)}
+    assert baselines.domain_code_bits(df.limit(0), columns).count() == 0
+
+
+def odd_table(spark):
+    """Values of all types, with NULLs, odd numbers, repeated and rare ones."""
+    return spark.range(5000).selectExpr(
+        "id", "cast(id % 13 as double) / 8 as x", "case when id % 5 = 0 then null else id * 37 % 1000 end as n", "case when id % 7 = 0 then double('NaN') when id % 11 = 0 then 0d else -0d end as odd",
+        "concat('é', id % 60) as s", "cast(null as string) as none", "timestamp_micros(id * 1000003) as t", "date_from_unix_date(cast(id % 40 as int)) as d", "cast(id % 90 as decimal(9, 2)) as m",
+        "cast(id % 90 as decimal(30, 2)) as wide", "id % 2 = 0 as flag", "cast(id as float) / 3 as f", "cast(id % 3 as string) as `a.b`", "cast(concat('b', id % 4) as binary) as raw")
+
+
+def test_stored_tables_have_the_baselines_of_plain_ones(spark):
+    from relcodec import measures
+    from relcodec.plans import studies
+    from relcodec.schema import infer_spec
+
+    s = studies.Subject(odd_table(spark).repartition(4, "id"), texts=True)
+    assert s.stored.openable() and s.stored.df.exceptAll(s.df).count() == 0
+    assert s.raw == measures.raw_bytes(s.df)
+    assert baselines.how_often(s.stored, s.df.columns).keys() == set(s.df.columns)
+    assert {c: sorted(x) for c, x in baselines.how_often(s.stored, s.df.columns).items()} == {c: sorted(x) for c, x in baselines.how_often(s.df, s.df.columns).items()}
+    one = studies.Subject(odd_table(spark).coalesce(1), texts=True)
+    assert baselines.text_sizes(one.stored, [one.df.columns, ["x"], ["t", "s"]]) == baselines.text_sizes(one.df.coalesce(1), [one.df.columns, ["x"], ["t", "s"]])
+    plain = one.df.drop("raw")
+    near = infer_spec(plain).with_tolerance_pct(1.0)
+    assert baselines.representative_rows(one.stored, near) == baselines.representative_rows(plain.coalesce(1), near)
+    assert s.plain_spec() == infer_spec(s.df)
+    spec = s.spec
+    names = [a.name for a in spec.attributes if a.kind == "categorical"]
+    own = {c: tuple(names[max(0, i - 2): i]) for i, c in enumerate(names)}
+    images, again = s.images_under([spec, spec.with_tolerance_pct(5.0)])
+    assert baselines.network_huffman_bits(images, own, spec) == baselines.network_huffman_bits(s.wide, own)
+    assert again.df.exceptAll(spec.with_tolerance_pct(5.0).images(s.wide)).count() == 0
+
+
+def test_points_keep_ranks(monkeypatch):
+    import pyarrow as pa
+
+    from relcodec.baselines import held
+
+    monkeypatch.setattr(held, "POINTS", 50)
+    rng = np.random.default_rng(0)
+    rep = np.sort(rng.integers(0, 3, 6000)).astype(np.int32)
+    value, n = rng.permutation(6000), rng.integers(1, 4, 6000)
+    # One value is as frequent as a third of its group.
+    n[100] = 1000
+    table = pa.table({"rep": rep, "value": value, "n": n})
+    few = held.points(table)
+    assert few.num_rows < 3 * 3 * 50 and sum(few["n"].to_pylist()) == n.sum()
+    for r in range(3):
+        full = np.repeat(value[rep == r], n[rep == r])
+        mine = [np.array(few[c])[np.array(few["rep"]) == r] for c in ("value", "n")]
+        for share in (0.1, 0.37, 0.5, 0.9):
+            rank = int(np.ceil(share * len(full)))
+            found = mine[0][np.searchsorted(np.cumsum(mine[1]), rank)]
+            assert (full < found).sum() - len(full) * 2 / 50 < rank <= (full <= found).sum() + len(full) * 2 / 50
