@@ -154,3 +154,23 @@ def test_points_keep_ranks(monkeypatch):
             rank = int(np.ceil(share * len(full)))
             found = mine[0][np.searchsorted(np.cumsum(mine[1]), rank)]
             assert (full < found).sum() - len(full) * 2 / 50 < rank <= (full <= found).sum() + len(full) * 2 / 50
+
+
+def test_images_made_in_tasks_are_those_of_spark(spark):
+    from relcodec.plans import studies
+
+    table = odd_table(spark).select("id", "n", "x", "s", "m", "flag", "odd", "none", "d", "`a.b`").selectExpr("*", "case when id % 3 = 0 then null when id % 100 = 1 then 'No#x' else concat('No#', id) end as name", "id / 100d as cents")
+    s = studies.Subject(table.repartition(3, "id"), texts=True)
+    assert [c[2] for c in s.expansion.columns if c[0] in ("s", "name")] == ["template", "template"] and {a.kind for a in s.spec.attributes} == {"categorical", "integer", "decimal"}
+    specs = [s.spec, s.spec.with_tolerance_pct(1.0)]
+    made = studies.derived(s.stored, s.expansion, specs)
+    written = [studies.Stored(studies.written(spec.images(s.wide))) for spec in specs]
+    for spec, own, plain in zip(specs, made, written, strict=True):
+        rows = own.mapInArrow(lambda batches: batches, spec.image_schema())
+        assert rows.exceptAll(plain.df).count() == 0 and plain.df.exceptAll(rows).count() == 0 and rows.count() == s.rows
+        drawn = studies.archives.samples_random(own, {0: 300, 1: 200}, s.rows)
+        assert [len(x) for x in drawn.values()] == [300, 200] and set(drawn[0][0].asDict()) >= set(spec.names)
+    # A type whose images only Spark makes: one scratch table for all specs.
+    timed = studies.Subject(odd_table(spark).select("id", "t", "s"), texts=True)
+    assert studies.derived(timed.stored, timed.expansion, [timed.spec]) is None
+    assert timed.images_under([timed.spec])[0].df.exceptAll(timed.spec.images(timed.wide)).count() == 0
